@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import chat, decontaminate, packing, pii, quality, sharding, simhash_dedup, toxicity
+from . import chat, decontaminate, fingerprints, packing, pii, quality, sharding, simhash_dedup, toxicity
 
 #: Key of the surrogates here; a deployment passes its own secret.
 PII_KEY = "documents-surrogates-1"
@@ -60,6 +60,12 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op9_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = fingerprints.fingerprints_and_edits(table(spark, sf_dir, "documents"))
+    digits = lambda c: F.lower(F.lpad(F.hex(c), 16, "0")).alias
+    return found.select("doc_id", "n_chars", "edited_sha256", digits("fp")("fingerprint"), digits("edited_fp")("edited_fingerprint"), "near_edited", "near_next")
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     tricky = "\\### Assistant: </turn> ok"
@@ -71,6 +77,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_sharding": op1_sharding,
         "sharding_small_limit": sharding_small_limit,
+        "op9_fingerprints": op9_fingerprints,
         "op10_chat": op10_chat,
         "op3_decontaminate": op3_decontaminate,
         "op4_toxicity": op4_toxicity,
