@@ -25,7 +25,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
@@ -36,7 +35,7 @@ SEED = 42
 SEGMENTS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))
 RADIUS = 4
 #: Fingerprints of a key that are compared in one piece.
-BLOCK = 512
+BLOCK = 4096
 
 
 def shingle_hashes(text: str | None, size: int) -> np.ndarray:
@@ -94,79 +93,95 @@ def _keys():
     return F.array(*out)
 
 
-def _ring_links(a: np.ndarray, b: np.ndarray, first: int, radius: int) -> np.ndarray:
-    """Which pairs keep every budget of the chains that start at segment ``first``, and the full radius."""
-    x = a ^ b
-    used = np.zeros(x.shape, np.uint8)
-    ok = np.ones(x.shape, bool)
-    for n in range(len(SEGMENTS)):
-        start, width = SEGMENTS[(first + n) % len(SEGMENTS)]
-        used += np.bitwise_count((x >> np.uint64(start)) & np.uint64((1 << width) - 1))
-        ok &= used <= (n + 1) * radius // len(SEGMENTS)
-        if n == 1 and not ok.any():
-            return ok
-    return ok
-
-
-def _forest(left: np.ndarray, right: np.ndarray | None, first: int, radius: int) -> list[tuple[int, int]]:
-    """A spanning forest of the links in one block, or between two."""
-    both = left if right is None else np.concatenate([left, right])
-    names = both.view(np.int64)
-    parent = list(range(len(both)))
-
-    def root(i: int) -> int:
-        while parent[i] != i:
-            parent[i] = i = parent[parent[i]]
-        return i
-
-    ok = _ring_links(both[:, None], both[None, :], first, radius)
-    out = []
-    for i, j in np.argwhere(np.triu(ok, 1)):
-        a, b = root(int(i)), root(int(j))
-        if a != b:
-            parent[b] = a
-            out.append((int(names[i]), int(names[j])))
+def _ring(x: np.ndarray, radius: int, first: int | None) -> np.ndarray:
+    """Which differences keep every budget of the chains from segment ``first`` (from some segment, if none), and the full radius."""
+    n = len(SEGMENTS)
+    parts = [np.bitwise_count((x >> np.uint64(a)) & np.uint64((1 << w) - 1)) for a, w in SEGMENTS]
+    out = np.zeros(x.shape, bool)
+    for i in range(n) if first is None else (first,):
+        used, ok = np.zeros(x.shape, np.uint8), np.ones(x.shape, bool)
+        for k in range(n):
+            used += parts[(i + k) % n]
+            ok &= used <= (k + 1) * radius // n
+        out |= ok
     return out
 
 
-def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """(a, b): links between distinct fingerprints at most ``radius`` apart, enough to connect every component."""
-    if not 0 <= radius <= RADIUS:
-        raise ValueError(f"the segments serve radii up to {RADIUS}")
-    ship(distinct.sparkSession)
-    filed = distinct.select("fp", F.explode(_keys()).alias("key"))
+def forest(fps: np.ndarray, radius: int, first: int | None) -> list[tuple[int, int]]:
+    """Spanning forest of the links among fingerprints, the nearest links first: a tree grows by its closest neighbour."""
+    n = len(fps)
+    far = np.uint8(255)
+    gap, near = np.full(n, far), np.full(n, -1)
+    todo = np.ones(n, bool)
+    out, at = [], 0
+    for _ in range(n):
+        todo[at] = False
+        gap[at] = far
+        x = fps ^ fps[at]
+        d = np.where(todo & _ring(x, radius, first), np.bitwise_count(x), far)
+        closer = d < gap
+        gap[closer], near[closer] = d[closer], at
+        nxt = int(gap.argmin())
+        if gap[nxt] == far:  # the tree is complete; the next one starts anywhere
+            left = np.flatnonzero(todo)
+            if not len(left):
+                break
+            nxt = int(left[0])
+        else:
+            out.append((int(near[nxt]), nxt))
+        at = nxt
+    return out
+
+
+def bucket_links(filed: DataFrame, radius: int, chained: bool) -> DataFrame:
+    """(a, b): for rows (key, fp, name), links within keys at most ``radius`` bits apart, enough to connect each key's components.
+
+    A key with more than ``BLOCK`` rows is cut into blocks; every pair of blocks is a
+    task's work of its own, and gives at most as many links as it has rows. With ``chained``, the
+    high bits of a key tell from which segment its chains start.
+    """
     sizes = filed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
-    met = filed.join(sizes, "key").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("own", F.pmod(F.xxhash64("fp"), "blocks").cast("int"))
-    small, large = met.filter("blocks = 1"), met.filter("blocks > 1")
-    pairs = (
-        small.groupBy("key").agg(F.collect_list("fp").alias("l")).select(F.shiftright("key", 26).alias("at"), "l", F.lit(None).cast("array<bigint>").alias("r"))
-    )
+    met = filed.join(sizes, "key").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    member = F.struct("fp", "name")
+    small = met.filter("blocks = 1").groupBy("key").agg(F.collect_list(member).alias("m"))
     # each member of a large key goes to every pair of blocks that has its own
-    dealt = large.select("key", "own", "fp", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.groupBy("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).agg(F.collect_list(F.struct("own", "fp")).alias("m"))
-    dealt = dealt.select(
-        F.shiftright("key", 26).alias("at"),
-        F.transform(F.filter("m", lambda v: v.own == F.col("x")), lambda v: v.fp).alias("l"),
-        F.when(F.col("x") < F.col("y"), F.transform(F.filter("m", lambda v: v.own == F.col("y")), lambda v: v.fp)).alias("r"),
-    )
-
-    def forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    own = met.filter("blocks > 1").withColumn("own", F.pmod(F.xxhash64("fp", "name"), "blocks").cast("int"))
+    dealt = own.select("key", "own", "fp", "name", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    dealt = dealt.groupBy("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).agg(F.collect_list(member).alias("m"))
+    kind = filed.schema["name"].dataType.simpleString()
+
+    def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out: list[tuple[int, int]] = []
-            for at, l, r in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
-                first = at // 13
-                if r is None and len(l) == 2:
-                    x, y = np.array(l[:1]).view(np.uint64), np.array(l[1:]).view(np.uint64)
-                    out += [(l[0], l[1])] if _ring_links(x, y, first, radius)[0] else []
-                elif len(l):
-                    out += _forest(np.array(l).view(np.uint64), None if r is None else np.array(r, np.int64).view(np.uint64), first, radius)
-            yield pa.RecordBatch.from_pandas(pd.DataFrame(np.array(out, np.int64).reshape(-1, 2), columns=["a", "b"]), preserve_index=False)
-
-    kind = "a long, b long"
-    found = pairs.mapInArrow(forest, kind).unionByName(dealt.mapInArrow(forest, kind))
+            lists = b.column(1)
+            fps, names = lists.flatten().field("fp").to_numpy(zero_copy_only=False).view(np.uint64), lists.flatten().field("name")
+            ends = np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))])
+            starts = (b.column(0).to_numpy() >> 26) // 13
+            left, right = [], []
+            two = np.flatnonzero(np.diff(ends) == 2)
+            for first in range(len(SEGMENTS)) if chained else (None,):  # most keys have two members
+                i = ends[two if first is None else two[starts[two] == first]]
+                i = i[_ring(fps[i] ^ fps[i + 1], radius, first)]
+                left += i.tolist()
+                right += (i + 1).tolist()
+            for k in np.flatnonzero(np.diff(ends) > 2):
+                for i, j in forest(fps[ends[k] : ends[k + 1]], radius, int(starts[k]) if chained else None):
+                    left.append(int(ends[k]) + i)
+                    right.append(int(ends[k]) + j)
+            yield pa.RecordBatch.from_arrays([names.take(pa.array(left, pa.int64())), names.take(pa.array(right, pa.int64()))], names=["a", "b"])
+
+    ship(filed.sparkSession)
+    groups = small.unionByName(dealt.select("key", "m"))
+    found = groups.mapInArrow(linked, f"a {kind}, b {kind}")
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """(a, b): links between distinct fingerprints at most ``radius`` apart, enough to connect every component."""
+    if not 0 <= radius <= RADIUS:
+        raise ValueError(f"the segments serve radii up to {RADIUS}")
+    return bucket_links(distinct.select("fp", F.col("fp").alias("name"), F.explode(_keys()).alias("key")), radius, chained=True)
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): for every node with an edge the smallest node reachable, by hooking and pointer jumping."""
     edges = durable(edges.select("a", "b"), "edges")
@@ -197,3 +212,76 @@ def components_of(docs: DataFrame, key: str = "doc_id", text: str = "text", size
     named = distinct.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = named.join(named.groupBy("root").agg(F.min("least").alias("component")), "root").select("fp", "component")
     return prints.join(durable(named, "named"), "fp").select(key, "fp", "component")
+
+
+# Near duplicates by shingle similarity. Copies that share 0.8 of their five-word shingles
+# differ in up to about 20 fingerprint bits, so chain keys can't file them; bands of
+# smallest hashes do, and the ring budgets of the wider radius prune before the check.
+
+SIMILARITY = 0.8
+SIMILAR_RADIUS = 22
+BANDS, BAND_ROWS = 16, 6
+#: Smallest shingle hashes kept per text: similarity is exact up to so many shingles, estimated beyond.
+SKETCH = 256
+_MULTIPLIERS = np.random.default_rng(20).integers(1, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5) -> DataFrame:
+    """(key, name, fp, bands, sketch): a digest of the words, SimHash, band keys and smallest hashes of every row."""
+    ship(docs.sparkSession)
+
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from xxhash import xxh3_128_hexdigest
+
+        for b in batches:
+            names, fps, bands, sketch = [], [], [], []
+            for t in b.column(1).to_pylist():
+                h = shingle_hashes(t, size)
+                names.append(xxh3_128_hexdigest(b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split())))
+                fps.append(vote(h))
+                low = np.unique(h)[:SKETCH]
+                rows = ((low[:, None] * _MULTIPLIERS) >> np.uint64(32)).min(axis=0, initial=np.uint64(1 << 32)).reshape(BANDS, BAND_ROWS)
+                keys = np.arange(BANDS, dtype=np.uint64)
+                for c in range(BAND_ROWS):
+                    keys = (keys ^ rows[:, c]) * np.uint64(0x9E3779B97F4A7C15)
+                    keys ^= keys >> np.uint64(31)
+                bands.append(keys.view(np.int64))
+                sketch.append(low.view(np.int64))
+            columns = [pa.array(names, pa.string()), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays([b.column(0), *columns], names=[key, "name", "fp", "bands", "sketch"])
+
+    rows = docs.select(F.col(key), F.col(text).cast("string").alias("_text"))
+    return rows.mapInArrow(sketched, f"`{key}` {docs.schema[key].dataType.simpleString()}, name string, fp long, bands array<long>, sketch array<long>")
+
+
+def _similar(pairs: DataFrame, least: float) -> DataFrame:
+    """Pairs (a, b, sa, sb) whose sketches agree enough: share of the union's smallest hashes that both have."""
+
+    def checked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            good = []
+            for x, y in zip(b.column(2), b.column(3), strict=True):
+                x, y = x.values.to_numpy().view(np.uint64), y.values.to_numpy().view(np.uint64)
+                # compare as far as both sketches are complete
+                most = min(x[-1] if len(x) == SKETCH else np.uint64(2**64 - 1), y[-1] if len(y) == SKETCH else np.uint64(2**64 - 1)) if len(x) and len(y) else np.uint64(0)
+                x, y = x[x <= most], y[y <= most]
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                good.append(both >= least * (len(x) + len(y) - both) if len(x) and len(y) else len(x) == len(y))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    return pairs.mapInArrow(checked, "a string, b string")
+
+
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, similarity: float = SIMILARITY) -> DataFrame:
+    """(key, component): rows whose texts are linked by a shingle similarity of at least ``similarity``; component is the smallest key."""
+    table = durable(sketches(docs, key, text, size), "sketches")
+    once = table.groupBy("name").agg(F.min(key).alias("least"))
+    filed = table.select("name", "fp", F.explode("bands").alias("key")).distinct()
+    found = durable(bucket_links(filed, SIMILAR_RADIUS, chained=False), "candidates")
+    needed = found.select(F.col("a").alias("name")).union(found.select("b")).distinct()
+    held = durable(table.join(needed, "name", "left_semi").select("name", "sketch").dropDuplicates(["name"]), "held")
+    pairs = found.join(held.toDF("a", "sa"), "a").join(held.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
+    roots = components(_similar(pairs, similarity))
+    named = once.join(roots.withColumnRenamed("node", "name"), "name", "left").select("name", "least", F.coalesce("root", "name").alias("root"))
+    named = named.join(named.groupBy("root").agg(F.min("least").alias("component")), "root").select("name", "component")
+    return table.select(key, "name").join(durable(named, "named"), "name").select(key, "component")
