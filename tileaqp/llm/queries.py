@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from . import chat, decontaminate, fingerprints, packing, pii, quality, sharding, simhash_dedup, toxicity
+from . import chat, decontaminate, fingerprints, packing, pii, quality, sharding, simhash_dedup, suffix_dedup, toxicity
 
 #: Key of the surrogates here; a deployment passes its own secret.
 PII_KEY = "documents-surrogates-1"
@@ -25,6 +25,10 @@ def sharding_small_limit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(table(spark, sf_dir, "documents"), limit=128 << 10, keep=["doc_id"])
 
 
+def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.find(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), keep=["doc_id"])
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"), "spans")
@@ -77,6 +81,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_sharding": op1_sharding,
         "sharding_small_limit": sharding_small_limit,
+        "op2_suffix_dedup": op2_suffix_dedup,
         "op9_fingerprints": op9_fingerprints,
         "op10_chat": op10_chat,
         "op3_decontaminate": op3_decontaminate,
