@@ -1,4 +1,4 @@
 """All registered queries of the engine."""
 
-from . import methods, relational  # noqa: F401
+from . import methods, relational, workloads  # noqa: F401
 from .registry import QUERIES, SQL  # noqa: F401
