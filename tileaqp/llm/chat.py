@@ -80,28 +80,32 @@ def linear(messages: DataFrame, conversation: str = "conv_id", turn: str = "turn
 def paths(tree: DataFrame, best: int = 1) -> DataFrame:
     """(tree, branch, position, node) for the ``best`` leaves of each tree; tree and node name a message."""
     tree = tree.select("tree", "node", "parent", F.coalesce("score", F.lit(0.0)).alias("score"))
-    ids = tree.select(F.col("tree").alias("t"), F.col("node").alias("p"))
     same = lambda a, b, x, y: F.col(a).eqNullSafe(F.col(b)) & (F.col(x) == F.col(y))
-    known = tree.filter("parent is not null").join(ids, same("tree", "t", "parent", "p"), "left_semi")
-    jumps = [durable(known.select("tree", "node", F.col("parent").alias("far")), "jump")]
-    state = durable(tree.select("tree", "node", F.lit(1).cast("long").alias("depth"), "score"), "state")
-    # depth and score cover a message and those above it, up to the one that the current jump reaches
-    nodes = tree.count()
-    while True:
-        jump = jumps[-1]
-        far = state.select(F.col("tree").alias("t"), F.col("node").alias("p"), F.col("depth").alias("d"), F.col("score").alias("s"))
-        added = jump.join(far, same("tree", "t", "far", "p")).select(F.col("tree").alias("t"), F.col("node").alias("p"), F.col("d"), F.col("s"))
-        state = durable(
-            state.join(added, same("tree", "t", "node", "p"), "left").select("tree", "node", (F.col("depth") + F.coalesce("d", F.lit(0))).alias("depth"), (F.col("score") + F.coalesce("s", F.lit(0.0))).alias("score")), "state"
-        )
-        onward = jump.select(F.col("tree").alias("t"), F.col("node").alias("p"), F.col("far").alias("further"))
-        jump = durable(jump.join(onward, same("tree", "t", "far", "p")).select("tree", "node", F.col("further").alias("far")), "jump")
-        if jump.isEmpty():
-            break
+    ids = tree.select(F.col("tree").alias("t"), F.col("node").alias("p"))
+    # depth and score cover a message and those above it, up to the one that far names; without one they are final
+    state = durable(
+        tree.join(ids, same("tree", "t", "parent", "p"), "left").select("tree", "node", F.col("p").alias("far"), F.lit(1).cast("long").alias("depth"), "score"), "state"
+    )
+    parents = state.filter("far is not null").select(F.col("tree").alias("t"), F.col("far").alias("p"))
+    nodes = state.count()
+    final, jumps = [state.filter("far is null")], []
+    onward = state.filter("far is not null")
+    while not onward.isEmpty():
         if 1 << len(jumps) > 2 * nodes:
             raise ValueError("replies form a cycle")
-        jumps.append(jump)
-    leaf = state.join(known.select(F.col("tree").alias("t"), F.col("parent").alias("p")), same("tree", "t", "node", "p"), "left_anti")
+        jumps.append(onward.select("tree", "node", "far"))
+        every = onward
+        for done in final:
+            every = every.unionByName(done)
+        above = every.select(F.col("tree").alias("t"), F.col("node").alias("p"), F.col("far").alias("f"), F.col("depth").alias("d"), F.col("score").alias("s"))
+        moved = onward.join(above, same("tree", "t", "far", "p")).select("tree", "node", F.col("f").alias("far"), (F.col("depth") + F.col("d")).alias("depth"), (F.col("score") + F.col("s")).alias("score"))
+        moved = durable(moved, "state")
+        final.append(moved.filter("far is null"))
+        onward = moved.filter("far is not null")
+    state = final[0]
+    for done in final[1:]:
+        state = state.unionByName(done)
+    leaf = state.join(parents, same("tree", "t", "node", "p"), "left_anti")
     ranked = leaf.withColumn("branch", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc(F.col("score") / F.col("depth")), "node"))).filter(F.col("branch") <= best)
     got = ranked.select("tree", "branch", "node", F.col("depth").alias("position"))
     for k, jump in enumerate(jumps):
