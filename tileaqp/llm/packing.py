@@ -84,7 +84,7 @@ def pieces(docs: DataFrame, key: str = "doc_id", text: str = "text", vocabulary_
                     size.append(len(part))
                     crc.append(zlib.crc32(part.tobytes()))
                     if ids:
-                        kept.append(part)
+                        kept.append(part.astype(np.int32))
             n = len(row)
             columns = [b.column(0).take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(size, pa.int64()), pa.array(crc, pa.int64()), pa.array(np.arange(uid, uid + n))]
             yield pa.RecordBatch.from_arrays(columns + [pa.array(kept, pa.list_(pa.int32()))] * ids, names=[key, "piece", "start", "length", "ids_crc32", "uid", *["ids"] * ids])
@@ -125,9 +125,10 @@ def pack(items: DataFrame, length: int = LENGTH, full: int = FULL, fan: int = FA
     kind = "fill long, uids array<long>, sizes array<int>"
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches))
-        if not len(table):
+        got = [b for b in batches if b.num_rows]
+        if not got:
             return
+        table = pa.Table.from_batches(got)
         first = np.array([u[0] for u in table["uids"].to_pylist()])
         table = table.take(pa.array(np.argsort(first)))
         uids, sizes = table["uids"].combine_chunks(), table["sizes"].combine_chunks()
