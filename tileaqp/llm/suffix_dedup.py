@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..runtime import durable, ship
 from . import _hashing as H
+from ._marks import is_marked, mark
 
 LENGTH = 400
 #: Bytes of an anchor's string.
@@ -38,9 +39,9 @@ GRAM = 100
 #: Window starts that are hashed at a time.
 PIECE = 1 << 17
 #: Contexts of one string that are compared in one task; windows of larger groups are counted.
-MOST_CONTEXTS = 2_000
-#: Cells of the table that tells which texts are needed again.
-CELLS = 1 << 24
+MOST_CONTEXTS = 16_384
+#: Windows of contexts that are hashed and compared at a time.
+MOST_WINDOWS = 600_000
 BASE = 0x5851F42D4C957F2D
 _CODES = H.symbol_codes(256, 3)
 _INVERSE = H.inverse_of(BASE)
@@ -124,40 +125,38 @@ def scan(docs: DataFrame, key: str, text: str, length: int, gram: int) -> DataFr
 
 def _needed_texts(docs: DataFrame, text: str, wanted: DataFrame) -> DataFrame:
     """(c1, c2, data) of at least the texts whose digests are in ``wanted``: a table of fixed size sorts out most others in the scan."""
-    cell = F.pmod("c1", F.lit(CELLS))
-    cells = wanted.groupBy(F.shiftright(cell, 15).cast("int").alias("row")).agg(F.bitmap_construct_agg(cell.bitwiseAND(F.lit(0x7FFF))).alias("bits"))
-    marked = np.zeros(CELLS // 8, np.uint8)
-    for r in cells.collect():  # at most CELLS / 8 bytes
-        marked[r.row * 4096 : r.row * 4096 + len(r.bits)] = np.frombuffer(r.bits, np.uint8)
-    shared = docs.sparkSession.sparkContext.broadcast(marked)
+    shared = mark(wanted, "c1")
 
     def picked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        marked = shared.value
         for b in batches:
-            out = []
-            for data in _rows(b.column(0)):
-                x, y = _digest(data)
-                c = x % CELLS
-                if marked[c >> 3] >> (c & 7) & 1:
-                    out.append((x, y, data))
+            rows = [(*_digest(data), data) for data in _rows(b.column(0))]
+            keep = is_marked(shared.value, np.array([r[0] for r in rows], np.int64))
+            out = [r for r, k in zip(rows, keep, strict=True) if k]
             c1, c2, datas = map(list, zip(*out, strict=True)) if out else ([], [], [])
             yield pa.RecordBatch.from_arrays([pa.array(c1, pa.int64()), pa.array(c2, pa.int64()), pa.array(datas, pa.binary())], names=["c1", "c2", "data"])
 
     return docs.select(F.col(text).cast("string").alias("_text")).mapInArrow(picked, "c1 long, c2 long, data binary")
 
 
-def _repeated(contexts: list[bytes], before: np.ndarray, group: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Windows of contexts: the context, the start in it, a hash that is equal for equal windows at one place of one group."""
+def _windows(contexts: list[bytes], before: np.ndarray, group: np.ndarray, length: int, reach: int, most: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Windows of contexts: the context, the start in it, a hash that is equal for equal windows at one place of one group.
+
+    Windows at different places can't be equal by the same anchor, so about ``most`` of
+    them at a time, those of following places, are given out.
+    """
     size = np.array([len(c) for c in contexts], np.int64)
-    ends = np.cumsum(size)
-    many = np.maximum(size - length + 1, 0)
-    which = np.repeat(np.arange(len(contexts)), many)
-    start = np.arange(len(which)) - np.repeat(np.cumsum(many) - many, many)
+    begin = np.cumsum(size) - size
     raw = np.frombuffer(b"".join(contexts), np.uint8)
     span = _hashes(raw, H.powers(len(raw), BASE), H.powers(len(raw), _INVERSE))
-    at = (ends - size)[which] + start
-    place = (before[which] - start).astype(np.uint64)
-    return which, start, H.mix(span(at, at + length) ^ H.mix(place * H.ODD + group[which].astype(np.uint64)))
+    step = max(1, most // max(1, len(contexts)))
+    for place in range(0, reach + 1, step):
+        low, high = np.maximum(0, before - place - step + 1), np.minimum(size - length, before - place)
+        many = np.maximum(high - low + 1, 0)
+        which = np.repeat(np.arange(len(contexts)), many)
+        start = np.arange(len(which)) - np.repeat(np.cumsum(many) - many - low, many)
+        at = begin[which] + start
+        name = H.mix((before[which] - start).astype(np.uint64) * H.ODD + group[which].astype(np.uint64))
+        yield which, start, H.mix(span(at, at + length) ^ name)
 
 
 def _runs(which: np.ndarray, start: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -209,14 +208,19 @@ def stretches(docs: DataFrame, scanned: DataFrame, text: str, length: int, gram:
             m = lists.flatten()
             k = 0
             while k < len(lists):
-                stop = max(k + 1, int(np.searchsorted(ends, ends[k] + MOST_CONTEXTS, side="right")) - 1)
+                stop = max(k + 1, int(np.searchsorted(ends, ends[k] + MOST_WINDOWS // 300, side="right")) - 1)
                 part = m.slice(ends[k], ends[stop] - ends[k])
                 group = np.repeat(np.arange(stop - k), np.diff(ends[k : stop + 1]))
                 pos = part.field("pos").to_numpy(zero_copy_only=False)
-                which, start, h = _repeated(part.field("context").to_pylist(), np.minimum(pos, reach), group, length)
-                _, back, count = np.unique(h, return_inverse=True, return_counts=True)
-                hit = (count[back] > 1) & (part.field("n").to_numpy(zero_copy_only=False)[which] == 1)
-                at, a, z = _runs(which[hit], start[hit], length)
+                lone = part.field("n").to_numpy(zero_copy_only=False) == 1
+                hits: list[tuple[np.ndarray, np.ndarray]] = []
+                for which, start, h in _windows(part.field("context").to_pylist(), np.minimum(pos, reach), group, length, reach, MOST_WINDOWS):
+                    _, back, count = np.unique(h, return_inverse=True, return_counts=True)
+                    hit = (count[back] > 1) & lone[which]
+                    hits.append((which[hit], start[hit]))
+                which, start = (np.concatenate(c) for c in zip(*hits, strict=True))
+                order = np.lexsort((start, which))
+                at, a, z = _runs(which[order], start[order], length)
                 base = np.maximum(pos - reach, 0)[at]
                 taken = pa.array(at, pa.int64())
                 yield pa.RecordBatch.from_arrays([part.field("c1").take(taken), part.field("c2").take(taken), pa.array(base + a), pa.array(base + z)], names=["c1", "c2", "from", "to"])
@@ -228,9 +232,9 @@ def stretches(docs: DataFrame, scanned: DataFrame, text: str, length: int, gram:
                 part = b.slice(k, 512)
                 pos = part.column(2).to_numpy()
                 # the string itself is part of the name, in place of the group's number
-                which, start, h = _repeated(part.column(4).to_pylist(), np.minimum(pos, reach), part.column(3).to_numpy(), length)
-                taken = pa.array(which, pa.int64())
-                yield pa.RecordBatch.from_arrays([part.column(0).take(taken), part.column(1).take(taken), pa.array(np.maximum(pos - reach, 0)[which] + start), pa.array(h.view(np.int64)), part.column(5).take(taken)], names=["c1", "c2", "from", "h", "n"])
+                for which, start, h in _windows(part.column(4).to_pylist(), np.minimum(pos, reach), part.column(3).to_numpy(), length, reach, MOST_WINDOWS):
+                    taken = pa.array(which, pa.int64())
+                    yield pa.RecordBatch.from_arrays([part.column(0).take(taken), part.column(1).take(taken), pa.array(np.maximum(pos - reach, 0)[which] + start), pa.array(h.view(np.int64)), part.column(5).take(taken)], names=["c1", "c2", "from", "h", "n"])
 
     many = contexts.filter(F.col("d") > MOST_CONTEXTS).select("c1", "c2", "pos", "g", "context", "n").mapInArrow(listed, "c1 long, c2 long, `from` long, h long, n long")
     again = many.groupBy("h").agg(F.count("*").alias("k")).filter("k > 1").select("h")
