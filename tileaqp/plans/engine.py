@@ -9,6 +9,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import functions as F
 
+from ..functions.quantiles import two_sided_z
 from .estimators import Moments, Stratum, answer, moment_columns, moments_of
 from .geometry import CELL_BITS, Tile, classify
 from .index import Stats, TileIndex
@@ -132,14 +133,47 @@ def next_rate(rate: float, eps: float, eps_max: float, cap: float = 2.0, min_ste
     return min(1.0, rate * min(cap, max(min_step, ratio)))
 
 
-def _next(policy: SamplingPolicy, rate: float, eps: float, eps_max: float, pop: int) -> float:
+def rate_for_bound(strata: list[Stratum], q: ViewportQuery, low: float) -> float:
+    """The smallest common rate, not below ``low``, at which the variances seen so far would meet the bound.
+
+    Strata that have more than the rate keep what they have, and none can have more than
+    all of its objects. The error of a sum and that of a mean are the same.
+    """
+    z = two_sided_z(q.gamma)
+
+    def met(rate: float) -> bool:
+        for a in q.attrs():
+            total = var = 0.0
+            for s in strata:
+                m = s.moments(a)
+                total += s.pop * m.mean
+                n = min(float(s.pop), max(float(m.n), rate * s.pop))
+                if m.n < s.pop and n < s.pop:
+                    var += s.pop**2 * m.s2 / n * (1 - n / s.pop)
+            if z * math.sqrt(var) > 0.97 * q.eps_max * abs(total):
+                return False
+        return True
+
+    if met(low):
+        return low
+    high = 1.0
+    for _ in range(40):
+        mid = (low + high) / 2
+        low, high = (low, mid) if met(mid) else (mid, high)
+    return high
+
+
+def _next(policy: SamplingPolicy, rate: float, eps: float, q: ViewportQuery, strata: list[Stratum]) -> float:
+    """The common rate of the next round: from that of the strata which the last rate governed, not of those that earlier queries took further."""
+    attrs = q.attrs()
+    got = [(min(s.moments(a).n for a in attrs), s.pop) for s in strata if any(not s.exact(a) for a in attrs)]
+    behind = [(n, pop) for n, pop in got if n <= 1.25 * rate * pop] or got
+    now = sum(n for n, _ in behind) / sum(pop for _, pop in behind)
     if policy.kind == "fixed_step":
-        return min(1.0, rate * policy.cap)
-    if policy.kind == "fpc_aware" and eps_max and not math.isinf(eps) and rate < 1:
-        n = rate * pop
-        n0 = n * (eps / eps_max) ** 2 / (1 - n / pop)  # size that an endless population would need
-        return min(1.0, rate * min(policy.cap, max(policy.min_step, n0 / (1 + n0 / pop) / n)))
-    return next_rate(rate, eps, eps_max, policy.cap, policy.min_step)
+        return min(1.0, now * policy.cap)
+    if policy.kind == "fpc_aware" and q.eps_max and not math.isinf(eps) and all(a.fn in ("sum", "mean", "count") for a in q.aggs):
+        return min(1.0, now * policy.cap, rate_for_bound(strata, q, min(1.0, now * policy.min_step)))
+    return next_rate(now, eps, q.eps_max, policy.cap, policy.min_step)
 
 
 def _targets(strata: list[Stratum], attrs: tuple[str, ...], rate: float, policy: SamplingPolicy) -> dict[int, int]:
@@ -154,7 +188,7 @@ def _targets(strata: list[Stratum], attrs: tuple[str, ...], rate: float, policy:
         if s.pop <= policy.exhaust_below:
             r = 1.0
         elif 2 * r * s.pop < floor and short:
-            r = min(1.0, 1.5 * floor / s.pop)
+            r = min(1.0, 3.0 * floor / s.pop)
         theta = KEY_SPACE if r >= 1 else int(r * KEY_SPACE)
         if short and theta <= min(s.theta[a] for a in attrs):
             theta = min(KEY_SPACE, 2 * max(s.theta[a] for a in attrs))
@@ -191,7 +225,7 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
         thin = [s for s in strata if any(s.moments(a).n < min(2, s.pop) for a in attrs)]
         if thin and not whole:
             log.append({"round": len(log) + 1, "rate": rate, "new_reads": read, "eps_est": math.inf})
-            to = {s.tile_id: min(KEY_SPACE, 2 * max(s.theta.values())) for s in thin}
+            to = {s.tile_id: min(KEY_SPACE, 4 * max(s.theta.values())) for s in thin}
             continue
         answers = [answer(strata, a, q.gamma) for a in q.aggs]
         worst = max((a.eps_est for a in answers), default=0.0)
@@ -206,9 +240,8 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
         if len(log) >= policy.max_rounds:
             rate = 1.0
         else:
-            left = sum(s.pop for s in open_)
-            rate = _next(policy, sum(min(s.moments(a).n for a in attrs) for s in open_) / left, worst, q.eps_max, left)
-        to = {s.tile_id: KEY_SPACE for s in open_} if rate >= 1 else {k: v for k, v in _targets(open_, attrs, rate, policy).items()}
+            rate = _next(policy, rate, worst, q, strata)
+        to = {s.tile_id: KEY_SPACE for s in open_} if rate >= 1 else _targets(open_, attrs, rate, policy)
 
 
 def evaluate(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy | None = None) -> QueryResult:
