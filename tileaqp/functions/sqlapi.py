@@ -58,17 +58,18 @@ def register_index(spark: SparkSession, name: str, index: TileIndex) -> None:
     """
     ship(spark)
     d = index.domain
+    attrs = sorted({a for _, a in index.stats})
     tiles = []
     for t in index.leaves():
         b = t.bounds(d)
-        for (i, attr), s in index.stats.items():
-            if i == t.tile_id and s.moments.n:
-                tiles.append((b.x1, b.x2, b.y1, b.y2, attr, t.n_objects, s.moments.n, s.moments.mean, s.moments.m2))
+        for attr in attrs:
+            m = index.stat(t.tile_id, attr).moments
+            tiles.append((b.x1, b.x2, b.y1, b.y2, attr, t.n_objects, m.n, m.mean, m.m2))
 
     @F.udtf(returnType="attr string, pop double, sum_est double, ci_low double, ci_high double")
     class StoredWindow:
         def eval(self, x1: float, x2: float, y1: float, y2: float, attr: str, gamma: float):
-            pop = total = var = 0.0
+            pop = total = var = unknown = 0.0
             for a, b, c, e, name, count, n, mean, m2 in tiles:
                 if name != attr:
                     continue
@@ -77,9 +78,14 @@ def register_index(spark: SparkSession, name: str, index: TileIndex) -> None:
                     continue
                 share = (w / (b - a) if b > a else 1.0) * (h / (e - c) if e > c else 1.0)
                 pop += share * count
+                if not n:
+                    unknown += share * count
+                    continue
                 total += share * count * mean
                 if 1 < n < count:
                     var += (share * count) ** 2 * m2 / (n - 1) / n * (1 - n / count)
+            # tiles of which nothing was read are taken to be like the others
+            total *= pop / (pop - unknown) if pop > unknown else 1.0
             half = normal_quantile((1 + gamma) / 2) * var**0.5
             yield attr, pop, total, total - half, total + half
 
