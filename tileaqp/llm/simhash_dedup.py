@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..runtime import durable, ship
+from ._marks import is_marked, mark
 
 SEED = 42
 #: First bits and widths of the segments, from the lowest bit.
@@ -227,17 +228,17 @@ _MULTIPLIERS = np.random.default_rng(20).integers(1, 1 << 63, BANDS * BAND_ROWS,
 
 
 def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5) -> DataFrame:
-    """(key, name, fp, bands, sketch): a digest of the words, SimHash, band keys and smallest hashes of every row."""
+    """(key, name, fp, bands, sketch): a digest of the words, SimHash, band keys and the first halves of the smallest hashes of every row."""
     ship(docs.sparkSession)
 
     def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from xxhash import xxh3_128_hexdigest
+        from xxhash import xxh3_128_digest
 
         for b in batches:
             names, fps, bands, sketch = [], [], [], []
             for t in b.column(1).to_pylist():
                 h = shingle_hashes(t, size)
-                names.append(xxh3_128_hexdigest(b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split())))
+                names.append(xxh3_128_digest(b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split())))
                 fps.append(vote(h))
                 low = np.unique(h)[:SKETCH]
                 rows = ((low[:, None] * _MULTIPLIERS) >> np.uint64(32)).min(axis=0, initial=np.uint64(1 << 32)).reshape(BANDS, BAND_ROWS)
@@ -246,12 +247,12 @@ def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int
                     keys = (keys ^ rows[:, c]) * np.uint64(0x9E3779B97F4A7C15)
                     keys ^= keys >> np.uint64(31)
                 bands.append(keys.view(np.int64))
-                sketch.append(low.view(np.int64))
-            columns = [pa.array(names, pa.string()), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.list_(pa.int64()))]
+                sketch.append((low >> np.uint64(32)).astype(np.uint32).view(np.int32))
+            columns = [pa.array(names, pa.binary()), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.list_(pa.int32()))]
             yield pa.RecordBatch.from_arrays([b.column(0), *columns], names=[key, "name", "fp", "bands", "sketch"])
 
     rows = docs.select(F.col(key), F.col(text).cast("string").alias("_text"))
-    return rows.mapInArrow(sketched, f"`{key}` {docs.schema[key].dataType.simpleString()}, name string, fp long, bands array<long>, sketch array<long>")
+    return rows.mapInArrow(sketched, f"`{key}` {docs.schema[key].dataType.simpleString()}, name binary, fp long, bands array<long>, sketch array<int>")
 
 
 def _similar(pairs: DataFrame, least: float) -> DataFrame:
@@ -261,26 +262,35 @@ def _similar(pairs: DataFrame, least: float) -> DataFrame:
         for b in batches:
             good = []
             for x, y in zip(b.column(2), b.column(3), strict=True):
-                x, y = x.values.to_numpy().view(np.uint64), y.values.to_numpy().view(np.uint64)
+                x, y = x.values.to_numpy().view(np.uint32), y.values.to_numpy().view(np.uint32)
                 # compare as far as both sketches are complete
-                most = min(x[-1] if len(x) == SKETCH else np.uint64(2**64 - 1), y[-1] if len(y) == SKETCH else np.uint64(2**64 - 1)) if len(x) and len(y) else np.uint64(0)
+                top = np.uint32(2**32 - 1)
+                most = min(x[-1] if len(x) == SKETCH else top, y[-1] if len(y) == SKETCH else top) if len(x) and len(y) else top
                 x, y = x[x <= most], y[y <= most]
-                both = len(np.intersect1d(x, y, assume_unique=True))
+                both = len(np.intersect1d(x, y))
                 good.append(both >= least * (len(x) + len(y) - both) if len(x) and len(y) else len(x) == len(y))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    return pairs.mapInArrow(checked, "a string, b string")
+    return pairs.mapInArrow(checked, "a binary, b binary")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, similarity: float = SIMILARITY) -> DataFrame:
     """(key, component): rows whose texts are linked by a shingle similarity of at least ``similarity``; component is the smallest key."""
     table = durable(sketches(docs, key, text, size), "sketches")
-    once = table.groupBy("name").agg(F.min(key).alias("least"))
-    filed = table.select("name", "fp", F.explode("bands").alias("key")).distinct()
-    found = durable(bucket_links(filed, SIMILAR_RADIUS, chained=False), "candidates")
+    once = durable(table.groupBy("name").agg(F.min(key).alias("least"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "once")
+    found = durable(bucket_links(once.select("name", "fp", F.explode("bands").alias("key")), SIMILAR_RADIUS, chained=False), "candidates")
     needed = found.select(F.col("a").alias("name")).union(found.select("b")).distinct()
-    held = durable(table.join(needed, "name", "left_semi").select("name", "sketch").dropDuplicates(["name"]), "held")
-    pairs = found.join(held.toDF("a", "sa"), "a").join(held.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
+    number = F.conv(F.hex(F.substring("name", 1, 7)), 16, 10).cast("long")
+    marked = mark(needed.select(number.alias("number")), "number")
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            numbers = np.array([int.from_bytes(n[:7], "big") for n in b.column(0).to_pylist()], np.int64)
+            yield b.filter(pa.array(is_marked(marked.value, numbers)))
+
+    sketch = table.select("name", "sketch").mapInArrow(held, "name binary, sketch array<int>").join(needed, "name", "left_semi").dropDuplicates(["name"])
+    sketch = durable(sketch, "held")
+    pairs = found.join(sketch.toDF("a", "sa"), "a").join(sketch.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
     roots = components(_similar(pairs, similarity))
     named = once.join(roots.withColumnRenamed("node", "name"), "name", "left").select("name", "least", F.coalesce("root", "name").alias("root"))
     named = named.join(named.groupBy("root").agg(F.min("least").alias("component")), "root").select("name", "component")
