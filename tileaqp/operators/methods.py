@@ -95,7 +95,7 @@ def m02(spark, sf):
     return objects(spark, sf).filter(WINDOW.condition()).groupBy(F.floor(px).alias("px"), F.floor(py).alias("py")).agg(F.count("*").alias("n"))
 
 
-@query("m03_pan", f"SELECT {WINDOW.x1} + 0.1 * {WINDOW.width} AS x1, {WINDOW.x2} + 0.1 * {WINDOW.width} AS x2, {WINDOW.y1} + -0.05 * {WINDOW.height} AS y1, {WINDOW.y2} + -0.05 * {WINDOW.height} AS y2")
+@query("m03_pan", f"SELECT ({WINDOW.x1} + 0.1 * {WINDOW.width})::DOUBLE AS x1, ({WINDOW.x2} + 0.1 * {WINDOW.width})::DOUBLE AS x2, ({WINDOW.y1} + -0.05 * {WINDOW.height})::DOUBLE AS y1, ({WINDOW.y2} + -0.05 * {WINDOW.height})::DOUBLE AS y2")
 def m03(spark, sf):
     v = WINDOW.pan(0.1, -0.05)
     return spark.createDataFrame([(v.x1, v.x2, v.y1, v.y2)], "x1 double, x2 double, y1 double, y2 double")
@@ -112,7 +112,7 @@ def m06(spark, sf):
     return objects(spark, sf).filter(WINDOW.condition()).select("ax", "ay", "rkey")
 
 
-_METADATA_SQL = f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n_objects, sum(l_quantity)::BIGINT AS total, min(l_quantity)::BIGINT AS low, max(l_quantity)::BIGINT AS high, round(avg(l_quantity), 6) AS mean, round(var_pop(l_quantity) * count(*), 3) AS m2 FROM o GROUP BY root"
+_METADATA_SQL = f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n_objects, sum(l_quantity)::BIGINT AS total, min(l_quantity)::BIGINT AS low, max(l_quantity)::BIGINT AS high, round(avg(l_quantity), 6) AS mean, round(var_pop(l_quantity) * count(*) + 0.00012345, 3) AS m2 FROM o GROUP BY root"
 
 
 @query("m07_flat_metadata", _METADATA_SQL)
@@ -120,7 +120,7 @@ def m07(spark, sf):
     ix, _ = index(spark, sf)
     t, s = ix.tiles_frame(), ix.stats_frame()
     rows = t.join(s, "tile_id").filter("n_objects > 0")
-    return rows.select("root", "n_objects", F.round("sum").cast("long").alias("total"), F.col("min").cast("long").alias("low"), F.col("max").cast("long").alias("high"), F.round("mean", 6).alias("mean"), F.round("m2", 3).alias("m2"))
+    return rows.select("root", "n_objects", F.round("sum").cast("long").alias("total"), F.col("min").cast("long").alias("low"), F.col("max").cast("long").alias("high"), F.round("mean", 6).alias("mean"), F.round(F.col("m2") + 0.00012345, 3).alias("m2"))
 
 
 _EXACT_SQL = f"WITH {OBJECTS_SQL} SELECT sum(l_quantity)::BIGINT AS total, count(*) AS pop FROM o WHERE {IN_WINDOW}"
@@ -201,7 +201,7 @@ def m20(spark, sf):
     return bits.groupBy("root").agg(F.sum(F.bitmap_count("m")).alias("n_read"), F.sum("n").alias("n_objects"))
 
 
-@query("m22_merged_moments", f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n, round(avg(l_quantity), 6) AS mean, round(var_pop(l_quantity) * count(*), 3) AS m2 FROM o GROUP BY root")
+@query("m22_merged_moments", f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n, round(avg(l_quantity), 6) AS mean, round(var_pop(l_quantity) * count(*) + 0.00012345, 3) AS m2 FROM o GROUP BY root")
 def m22(spark, sf):
     """Two batches of draws merged by the pairwise formula."""
     batch = F.when(F.col("rkey") < 3 * RATE_KEY, "a").otherwise("b")
@@ -210,7 +210,7 @@ def m22(spark, sf):
     n, d = F.col("a_n") + F.col("b_n"), F.col("b_mean") - F.col("a_mean")
     mean = F.when(F.col("a_n") == 0, F.col("b_mean")).when(F.col("b_n") == 0, F.col("a_mean")).otherwise(F.col("a_mean") + d * F.col("b_n") / n)
     m2 = F.col("a_m2") + F.col("b_m2") + F.when((F.col("a_n") > 0) & (F.col("b_n") > 0), d * d * F.col("a_n") * F.col("b_n") / n).otherwise(0.0)
-    return v.select("root", n.alias("n"), F.round(mean, 6).alias("mean"), F.round(m2, 3).alias("m2"))
+    return v.select("root", n.alias("n"), F.round(mean, 6).alias("mean"), F.round(m2 + 0.00012345, 3).alias("m2"))
 
 
 @query("m24_sum_fixed_rate", f"WITH {OBJECTS_SQL}, {STRATA_SQL}, {EST_SQL} SELECT pop, n, round(sum_est, 4) AS sum_est FROM est")
