@@ -14,6 +14,7 @@ unless ``keep`` names some. An empty table gives an empty result; without traini
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,7 +31,7 @@ BATCH_BYTES = 1 << 15
 #: At most so many labelled rows are used for training; the rows of smallest hashed key.
 TRAIN_ROWS = 6_000
 #: Only so many features of largest weight are kept.
-KEPT = 1 << 16
+KEPT = 1 << 12
 
 _CODES = H.symbol_codes(1 << 12, 11)
 
@@ -85,19 +86,19 @@ def train(rows: list[tuple[np.ndarray, int]], smoothing: float = 1.0, rounds: in
     y = np.array([y for _, y in rows], np.float64)
     if not len(y) or y.min() == y.max():
         return np.zeros(size + 1, np.float32), 0.0 if not len(y) else float(np.clip((2 * y[0] - 1) * 3, -3, 3))
-    f = np.concatenate([f for f, _ in rows])
-    doc = np.repeat(np.arange(len(rows)), [len(f) for f, _ in rows])
-    yes = np.bincount(f[y[doc] == 1], minlength=size) + smoothing
-    no = np.bincount(f[y[doc] == 0], minlength=size) + smoothing
+    yes, no = np.full(size, smoothing), np.full(size, smoothing)
+    for f, label in rows:  # a row has each feature once
+        (yes if label == 1 else no)[f] += 1
     often = yes + no >= 2 * smoothing + 3
     ratio = np.where(often, np.log(yes / (y.sum() + 2 * smoothing)) - np.log(no / ((1 - y).sum() + 2 * smoothing)), 0.0)
     few = np.argsort(-np.abs(ratio) * np.sqrt(yes + no), kind="stable")[:KEPT]
-    name = np.full(size, -1, np.int64)
-    name[few[ratio[few] != 0]] = np.arange((ratio[few] != 0).sum())
     few = few[ratio[few] != 0]
-    use = name[f] >= 0
-    doc, f = doc[use], name[f[use]]
-    x = ratio[few][f]
+    name = np.full(size, -1, np.int32)
+    name[few] = np.arange(len(few))
+    kept = [(k := name[f])[k >= 0] for f, _ in rows]  # of thousands of n-grams a text has few that matter
+    f = np.concatenate(kept)
+    doc = np.repeat(np.arange(len(rows), dtype=np.int32), [len(k) for k in kept])
+    x = ratio[few].astype(np.float32)[f]
     w, b = np.zeros(len(few)), 0.0
     gw, gb = np.full(len(few), 1e-8), 1e-8
     weigh = np.where(y == 1, 0.5 / y.sum(), 0.5 / (1 - y).sum())  # both classes count alike
@@ -137,9 +138,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "do
                 yield pa.RecordBatch.from_arrays([rows, b.column(1).slice(i, len(texts))], names=["f", "y"])
 
     got = training_rows(docs, labels, label, key, text, limit).mapInArrow(sets, "f array<int>, y int").limit(limit).toArrow()
-    f, y = got.column(0).combine_chunks(), got.column(1).to_numpy()
-    rows = [(f[i].values.to_numpy(), int(y[i])) for i in range(len(y))]
-    return train(sorted(rows, key=lambda r: (len(r[0]), r[0].tobytes(), r[1])))
+    rows = [(f.values.to_numpy(), y.as_py()) for b in got.to_batches() for f, y in zip(b.column(0), b.column(1), strict=True)]
+    return train(sorted(rows, key=lambda r: (len(r[0]), zlib.crc32(r[0]), r[1])))  # the same order on every run
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], text: str = "text", column: str = "score", keep: list[str] | None = None) -> DataFrame:
