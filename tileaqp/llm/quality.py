@@ -23,7 +23,7 @@ from . import _hashing as H
 
 BITS = 20
 BASE = 0x5851F42D4C957F2D
-BATCH_BYTES = 4 << 20
+BATCH_BYTES = 1 << 19
 #: At most so many labelled rows are used for training; the rows of smallest hashed key.
 TRAIN_ROWS = 4_000
 
