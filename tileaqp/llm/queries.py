@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from ..runtime import durable
 from . import chat, decontaminate, fingerprints, packing, pii, quality, sharding, simhash_dedup, suffix_dedup, toxicity
 
 #: Key of the surrogates here; a deployment passes its own secret.
@@ -70,6 +71,14 @@ def op9_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_chars", "edited_sha256", digits("fp")("fingerprint"), digits("edited_fp")("edited_fingerprint"), "near_edited", "near_next")
 
 
+def fingerprint_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Block-table search: the fingerprints of every document whose id is divisible by 20 against those of all, at most 3 bits apart."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("body"))
+    rows = docs.select("doc_id", F.xxhash64("body").alias("h"), "body")
+    prints = durable(fingerprints.fingerprints(rows, ["doc_id", "h"], "body").select("doc_id", "fp"), "prints")
+    return fingerprints.within(prints.filter("doc_id % 20 = 0"), prints)
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     tricky = "\\### Assistant: </turn> ok"
@@ -83,6 +92,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "sharding_small_limit": sharding_small_limit,
         "op2_suffix_dedup": op2_suffix_dedup,
         "op9_fingerprints": op9_fingerprints,
+        "fingerprint_neighbours": fingerprint_neighbours,
         "op10_chat": op10_chat,
         "op3_decontaminate": op3_decontaminate,
         "op4_toxicity": op4_toxicity,
