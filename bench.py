@@ -25,7 +25,7 @@ def main() -> None:
     from tileaqp.plans.model import SamplingPolicy
     from tileaqp.plans.workload import run_workload
 
-    policy = SamplingPolicy(kind="fpc_aware", cap=16.0)  # few large rounds: a round costs a job
+    policy = SamplingPolicy(kind="fpc_aware", cap=16.0, rate0=0.03, exhaust_below=25, pooled_floor=3)  # few large rounds: a round costs a job
     seconds: dict[str, float] = {}
     reads: dict[str, int] = {}
     accuracy: dict[str, float] = {}
