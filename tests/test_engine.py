@@ -287,3 +287,25 @@ def test_containment():
 def test_written_objects_are_clustered(spark, bound, tmp_path):
     write_objects(bound[1], f"{tmp_path}/o", 2)
     assert spark.read.parquet(f"{tmp_path}/o").count() == bound[1].count()
+
+
+def test_fixed_sizes_per_stratum(bound):
+    ix = fresh(bound, adapt=False)
+    ix.stats.clear()
+    policy = SamplingPolicy(rate0=0.2, draw="fixed_n", floor=2, exhaust_below=2)
+    r = evaluate(ix, q(ix.domain.box, "sum", eps=0.2), policy)
+    want = sum(math.ceil(int(0.2 * KEY_SPACE) / KEY_SPACE * t.n_objects) for t in ix.leaves())
+    assert r.rounds == 1 and r.io_ops == want
+
+
+def test_divided_tiles_can_keep_what_they_knew(bound):
+    window = centre_window(bound[0].box, 0.3, (0.4, 0.4))
+    around = centre_window(bound[0].box, 0.9)
+    io = {}
+    for keep in (False, True):
+        ix = fresh(bound, reuse_parent=keep)
+        evaluate(ix, q(window, "sum", eps=0.02))
+        r = evaluate(ix, q(around, "sum", eps=0.0))
+        io[keep] = r.io_ops
+        assert r.answers[0].estimate == pytest.approx(truth(bound, around)["sum"])
+    assert io[True] < io[False]

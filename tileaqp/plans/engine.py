@@ -7,7 +7,7 @@ import time
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import functions as F
+from pyspark.sql import Window, functions as F
 
 from ..functions.quantiles import two_sided_z
 from .estimators import Moments, Stratum, answer, moment_columns, moments_of
@@ -19,7 +19,7 @@ from .model import KEY_SPACE, Answer, QueryResult, SamplingPolicy, Viewport, Vie
 def should_split(index: TileIndex, tile: Tile, kind: str, in_window: int, rate: float, window: Viewport) -> bool:
     """Enough objects, some of them in the window, levels left, and a gain."""
     c = index.config
-    if not c.adapt or tile.n_objects <= c.split_min or not in_window or tile.depth >= c.max_depth:
+    if not c.adapt or not tile.is_leaf or tile.n_objects <= c.split_min or not in_window or tile.depth >= c.max_depth:
         return False
     if c.split_scope == "partial" and kind != "partial":
         return False
@@ -49,7 +49,7 @@ def count_regions(index: TileIndex, tiles: list[Tile], window: Viewport, below:
 def plan_strata(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy) -> list[Stratum]:
     """Leaves of the window, split where that pays, as strata with what is known of them; empty ones are left out."""
     out: list[Stratum] = []
-    todo = index.leaves_overlapping(q.window)
+    todo = index.leaves_overlapping(q.window, q.attrs() if policy.reuse else ())
     rounds = index.config.depth_per_query if policy.reuse else 0
     single: list[Stratum] = []
     # an empty leaf has nothing to count
@@ -127,6 +127,20 @@ def draw(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int
     return read
 
 
+def fixed_limits(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int, int]) -> dict[int, int]:
+    """Key limits that give each stratum exactly its share of objects, rounded up, instead of about that many: one sort of the keys within tiles."""
+    goes = [s for s in strata if s.tile_id in to and to[s.tile_id] < KEY_SPACE]
+    out = dict(to)
+    if not goes:
+        return out
+    n = [math.ceil(to[s.tile_id] / KEY_SPACE * s.pop) for s in goes]
+    rows = index.with_tile(index.objects.select("ax", "ay", "root", "zcode", "rkey"), [index.tiles[s.tile_id] for s in goes], _n=n, _full=[s.kind == "full" for s in goes])
+    rows = rows.filter(F.col("_full") | q.window.condition()).withColumn("_r", F.row_number().over(Window.partitionBy("tile_id").orderBy("rkey")))
+    for r in rows.filter(F.col("_r") == F.col("_n")).select("tile_id", "rkey").collect():  # a row per stratum
+        out[r.tile_id] = r.rkey + 1
+    return out
+
+
 def next_rate(rate: float, eps: float, eps_max: float, cap: float = 2.0, min_step: float = 1.1) -> float:
     """The rate times the squared ratio of error and bound, at least ``min_step`` and at most ``cap`` times."""
     ratio = cap if not eps_max or math.isinf(eps) else (eps / eps_max) ** 2
@@ -219,6 +233,8 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
         bare = [s for s in open_ if min(s.moments(a).n for a in attrs) < 2]
         to = _targets(bare, attrs, rate, policy)
     while True:
+        if policy.draw == "fixed_n" and policy.strata == "tiles":
+            to = fixed_limits(index, q, strata, to)
         read = draw(index, q, strata, to, policy)
         io += read
         # too few objects had keys low enough: reach further before judging

@@ -89,8 +89,12 @@ class TileIndex:
     def leaves(self) -> list[Tile]:
         return [t for t in self.tiles.values() if t.is_leaf]
 
-    def leaves_overlapping(self, q: Viewport) -> list[tuple[Tile, str]]:
-        """Leaves that the window meets, by descent from the root cells it meets, each full or partial."""
+    def leaves_overlapping(self, q: Viewport, attrs: tuple[str, ...] = ()) -> list[tuple[Tile, str]]:
+        """Leaves that the window meets, by descent from the root cells it meets, each full or partial.
+
+        With ``reuse_parent`` a divided tile inside the window whose measures ``attrs`` are known
+        exactly stands for its parts.
+        """
         d = self.domain
         box = d.box
         if classify(box, q) == "disjoint":
@@ -105,7 +109,8 @@ class TileIndex:
             kind = classify(t.bounds(d), q)
             if kind == "disjoint":
                 continue
-            if t.is_leaf:
+            known = self.config.reuse_parent and attrs and kind == "full" and all(self.stat(t.tile_id, a).moments.n == t.n_objects for a in attrs)
+            if t.is_leaf or known:
                 out.append((t, kind))
             else:
                 todo += [self.tiles[c] for c in t.children]
