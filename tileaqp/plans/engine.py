@@ -31,15 +31,23 @@ def should_split(index: TileIndex, tile: Tile, kind: str, in_window: int, rate:
     return 0.9 * rate * quarter * parts > c.gain_min
 
 
+_INSIDE = "ax >= _x1 AND ax <= _x2 AND ay >= _y1 AND ay <= _y2"
+
+
+def _window_columns(w: Viewport, n: int) -> dict[str, list[float]]:
+    """The window as columns beside the tiles: plans that differ in data alone are compiled once."""
+    return {"_x1": [float(w.x1)] * n, "_x2": [float(w.x2)] * n, "_y1": [float(w.y1)] * n, "_y2": [float(w.y2)] * n}
+
+
 def count_regions(index: TileIndex, tiles: list[Tile], window: Viewport, below: bool) -> dict[int, list[tuple[int, int]]]:
     """For each tile the objects of its quarters (or of the whole, in the first place): all of them, and those in the window. Axes only."""
     if not tiles:
         return {}
     shift = [max(0, CELL_BITS - 2 * t.depth - 2) for t in tiles]
     mask = [3 if below and t.depth < CELL_BITS // 2 else 0 for t in tiles]
-    rows = index.with_tile(index.objects.select("ax", "ay", "root", "zcode"), tiles, _shift=pa.array(shift, pa.int32()), _mask=mask)
+    rows = index.with_tile(index.objects.select("ax", "ay", "root", "zcode"), tiles, _shift=pa.array(shift, pa.int32()), _mask=mask, **_window_columns(window, len(tiles)))
     part = F.expr("cast(shiftright(zcode, _shift) & _mask as int)").alias("part")
-    rows = rows.groupBy("tile_id", part).agg(F.count("*").alias("n"), F.count(F.when(window.condition(), 1)).alias("w")).collect()  # four rows a tile at most
+    rows = rows.groupBy("tile_id", part).agg(F.count("*").alias("n"), F.count(F.when(F.expr(_INSIDE), 1)).alias("w")).collect()  # four rows a tile at most
     out = {t.tile_id: [(0, 0)] * 4 for t in tiles}
     for r in rows:
         out[r.tile_id][r.part] = (r.n, r.w)
@@ -100,18 +108,17 @@ def draw(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int
     if not goes:
         return 0
     high = max(to[s.tile_id] for s in goes)
-    rows = index.objects.filter(F.col("rkey") < high)
-    inside = q.window.condition()
+    rows = index.objects.filter(F.col("rkey") < high) if index.prunes else index.objects
     # from the lowest key that some measure lacks; each measure then takes what it didn't have
     low = [min((s.theta[a] for a in attrs if not s.exact(a)), default=KEY_SPACE) for s in goes]
     own = {f"_own{i}": [KEY_SPACE if s.exact(a) else s.theta[a] for s in goes] for i, a in enumerate(attrs)}
-    cut = {"_low": low, "_high": [to[s.tile_id] for s in goes], "_full": [s.kind == "full" for s in goes], **own}
+    cut = {"_low": low, "_high": [to[s.tile_id] for s in goes], "_full": [s.kind == "full" for s in goes], **own, **_window_columns(q.window, len(goes))}
     if policy.strata == "single":
         roots = sorted({t.root for t, _ in index.leaves_overlapping(q.window)})
         rows = rows.filter(F.col("root").isin(roots)).withColumns({"tile_id": F.lit(-1).cast("long"), **{k: F.lit(v[0]) for k, v in cut.items()}})
     else:
         rows = index.with_tile(rows, [index.tiles[s.tile_id] for s in goes], **cut)
-    rows = rows.filter((F.col("rkey") >= F.col("_low")) & (F.col("rkey") < F.col("_high")) & (F.col("_full") | inside))
+    rows = rows.filter((F.col("rkey") >= F.col("_low")) & (F.col("rkey") < F.col("_high")) & (F.col("_full") | F.expr(_INSIDE)))
     high_moments = any(a.ci == "delta" for a in q.aggs)
     columns = [c for i, a in enumerate(attrs) for c in moment_columns(a, (F.col("rkey") >= F.col(f"_own{i}")) if len(attrs) > 1 else None, high=high_moments)]
     got = {r["tile_id"]: r.asDict() for r in rows.groupBy("tile_id").agg(F.count("*").alias("_n"), *columns).collect()}

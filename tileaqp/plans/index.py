@@ -79,6 +79,12 @@ class TileIndex:
     def spark(self) -> SparkSession:
         return self.objects.sparkSession
 
+    @property
+    def prunes(self) -> bool:
+        """Whether plans name cells and keys as literals, for files to be pruned. Objects in memory gain little by that, and plans without it are compiled once for all queries."""
+        level = self.objects.storageLevel
+        return not (level.useMemory or level.useDisk)
+
     def add(self, depth: int, root: int, zlo: int, zhi: int, n: int, parent: int | None = None) -> Tile:
         t = Tile(len(self.tiles), parent, depth, root, zlo, zhi, n)
         self.tiles[t.tile_id] = t
@@ -131,8 +137,9 @@ class TileIndex:
         The tiles of a query are few: they are broadcast as a local table and met by cell
         and code range, so that the plan is the same for all queries but for its pruning.
         """
-        roots = sorted({t.root for t in tiles})
-        rows = rows.filter(F.col("root").isin(roots) if len(roots) <= MOST_LITERALS else F.col("root").between(roots[0], roots[-1]))
+        if self.prunes:
+            roots = sorted({t.root for t in tiles})
+            rows = rows.filter(F.col("root").isin(roots) if len(roots) <= MOST_LITERALS else F.col("root").between(roots[0], roots[-1]))
         table = {"_root": pa.array([t.root for t in tiles], pa.int32()), "_lo": [t.zlo for t in tiles], "_hi": [t.zhi for t in tiles], "tile_id": pa.array([t.tile_id for t in tiles], pa.int64()), **columns}
         local = self.spark.createDataFrame(pa.table(table))
         near = (F.col("root") == F.col("_root")) & (F.col("zcode") >= F.col("_lo")) & (F.col("zcode") < F.col("_hi"))
