@@ -288,7 +288,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
             numbers = np.array([int.from_bytes(n[:7], "big") for n in b.column(0).to_pylist()], np.int64)
             yield b.filter(pa.array(is_marked(marked.value, numbers)))
 
-    sketch = table.select("name", "sketch").mapInArrow(held, "name binary, sketch array<int>").join(needed, "name", "left_semi").dropDuplicates(["name"])
+    sketch = table.select("name", "sketch").mapInArrow(held, "name binary, sketch array<int>").dropDuplicates(["name"]).join(needed, "name", "left_semi")
     sketch = durable(sketch, "held")
     pairs = found.join(sketch.toDF("a", "sa"), "a").join(sketch.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
     roots = components(_similar(pairs, similarity))
