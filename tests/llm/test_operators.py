@@ -226,6 +226,77 @@ def test_near_duplicates_by_shingles(docs, empty):
     assert simhash_dedup.near_duplicates(empty).count() == 0 and simhash_dedup.components_of(empty).count() == 0
 
 
+def near_against_all_pairs(spark, texts):
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.component for r in simhash_dedup.near_duplicates(frame).collect()}
+    shingles = [set(simhash_dedup.shingle_hashes(t, 5).tolist()) for t in texts]
+    sizes = [(a, b, len(x & y), len(x | y)) for a, x in enumerate(shingles) for b, y in enumerate(shingles) if a < b and x & y]
+    assert got == reach(range(len(texts)), [(a, b) for a, b, both, either in sizes if both >= 0.8 * either])
+    return sizes
+
+
+def fresh(rng, n):
+    return [f"w{rng.randrange(1 << 40)}" for _ in range(n)]
+
+
+@pytest.mark.parametrize("block", [4096, 50])
+def test_near_duplicates_of_a_star(spark, monkeypatch, block):
+    """Copies near one original, and near each other in few cases."""
+    monkeypatch.setattr(simhash_dedup, "BLOCK", block)
+    rng = random.Random(11)
+    original = fresh(rng, 304)
+    texts = []
+    for _ in range(300):
+        w = original[:]
+        for at in rng.sample(range(4, 300, 5), 6):
+            w[at] = fresh(rng, 1)[0]
+        texts.append(" ".join(w))
+    texts.insert(150, " ".join(original))
+    near_against_all_pairs(spark, texts)
+
+
+def test_near_duplicates_by_containment(spark):
+    """Truncated copies just above and below the similarity, longer than any sketch."""
+    rng = random.Random(12)
+    texts = []
+    for share in (0.79, 0.8, 0.82, 0.85):
+        for _ in range(15):
+            w = fresh(rng, 1004)
+            texts += [" ".join(w), " ".join(w[: int(share * 1000) + 4])]
+    assert sum(both >= 0.8 * either for *_, both, either in near_against_all_pairs(spark, texts)) == 45
+
+
+def test_near_duplicates_at_the_very_similarity(spark):
+    """Long texts that miss or reach the similarity by one shingle."""
+    rng = random.Random(13)
+    texts = []
+    for missing in (0, 1):
+        for _ in range(25):
+            w = fresh(rng, 1804)
+            texts += [" ".join(w), " ".join(w[: 1444 - missing])]
+    assert sum(both >= 0.8 * either for *_, both, either in near_against_all_pairs(spark, texts)) == 25
+
+
+def test_near_duplicates_with_repeated_lines(spark):
+    rng = random.Random(14)
+    texts = []
+    for _ in range(40):
+        w, line = fresh(rng, 1000), fresh(rng, 12)
+        texts += [" ".join(w + line), " ".join(w + line * 200)]
+    assert sum(both >= 0.8 * either for *_, both, either in near_against_all_pairs(spark, texts)) == 40
+
+
+def test_rows_that_repeat_an_id_or_have_none(spark):
+    import corpus_pipeline
+
+    rng = random.Random(15)
+    a, b, c = (" ".join(fresh(rng, 50)) for _ in range(3))
+    rows = [(1, a, 1), (1, b, 1), (2, b, 1), (1, a, 1), (1, a, 2), (None, a, 1), (None, c, 1), (None, c, 1), (None, None, 1), (3, "", 1)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, n int")
+    got = [tuple(r) for r in corpus_pipeline.drop_near_duplicates(spark, frame, "").collect()]
+    assert sorted(got, key=str) == sorted([(1, a, 1), (1, b, 1), (None, c, 1), (3, "", 1)], key=str)
+
+
 # 7: personal data
 
 

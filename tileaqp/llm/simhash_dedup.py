@@ -22,11 +22,13 @@ columns don't matter. An empty table gives an empty result.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, Window, functions as F
 
 from ..runtime import durable, ship
 from ._marks import is_marked, mark
@@ -134,6 +136,19 @@ def forest(fps: np.ndarray, radius: int, first: int | None) -> list[tuple[int, i
     return out
 
 
+def dealt(filed: DataFrame, members: list[str]) -> DataFrame:
+    """(key, m): the members of every key with more than one; of a key with more than ``BLOCK``, of every pair of its blocks."""
+    sizes = filed.groupBy("key").agg(F.count("*").alias("_count")).filter("_count > 1")
+    met = filed.join(sizes, "key").withColumn("blocks", F.ceil(F.col("_count") / BLOCK).cast("int"))
+    member = F.struct(*members)
+    small = met.filter("blocks = 1").groupBy("key").agg(F.collect_list(member).alias("m"))
+    # each member of a large key goes to every pair of blocks that has its own
+    own = met.filter("blocks > 1").withColumn("own", F.pmod(F.xxhash64(*members), "blocks").cast("int"))
+    each = own.select("key", "own", *members, F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    each = each.groupBy("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).agg(F.collect_list(member).alias("m"))
+    return small.unionByName(each.select("key", "m"))
+
+
 def bucket_links(filed: DataFrame, radius: int, chained: bool) -> DataFrame:
     """(a, b): for rows (key, fp, name), links within keys at most ``radius`` bits apart, enough to connect each key's components.
 
@@ -141,14 +156,6 @@ def bucket_links(filed: DataFrame, radius: int, chained: bool) -> DataFrame:
     task's work of its own, and gives at most as many links as it has rows. With ``chained``, the
     high bits of a key tell from which segment its chains start.
     """
-    sizes = filed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
-    met = filed.join(sizes, "key").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
-    member = F.struct("fp", "name")
-    small = met.filter("blocks = 1").groupBy("key").agg(F.collect_list(member).alias("m"))
-    # each member of a large key goes to every pair of blocks that has its own
-    own = met.filter("blocks > 1").withColumn("own", F.pmod(F.xxhash64("fp", "name"), "blocks").cast("int"))
-    dealt = own.select("key", "own", "fp", "name", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.groupBy("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y")).agg(F.collect_list(member).alias("m"))
     kind = filed.schema["name"].dataType.simpleString()
 
     def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -171,8 +178,7 @@ def bucket_links(filed: DataFrame, radius: int, chained: bool) -> DataFrame:
             yield pa.RecordBatch.from_arrays([names.take(pa.array(left, pa.int64())), names.take(pa.array(right, pa.int64()))], names=["a", "b"])
 
     ship(filed.sparkSession)
-    groups = small.unionByName(dealt.select("key", "m"))
-    found = groups.mapInArrow(linked, f"a {kind}, b {kind}")
+    found = dealt(filed, ["fp", "name"]).mapInArrow(linked, f"a {kind}, b {kind}")
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
@@ -215,83 +221,195 @@ def components_of(docs: DataFrame, key: str = "doc_id", text: str = "text", size
     return prints.join(durable(named, "named"), "fp").select(key, "fp", "component")
 
 
-# Near duplicates by shingle similarity. Copies that share 0.8 of their five-word shingles
-# differ in up to about 20 fingerprint bits, so chain keys can't file them; bands of
-# smallest hashes do, and the ring budgets of the wider radius prune before the check.
+# Near duplicates by the share of distinct five-word shingles, decided on whole texts.
+# Shingles have one order for all texts: rare before common, then by hash. Two texts that
+# share 0.8 of their union share a shingle among the first 0.2 of each (the prefix), so
+# filing by prefix misses no pair. Only connection matters: a star around the member with
+# the most company is tried first, then all pairs that are still in different components.
 
 SIMILARITY = 0.8
-SIMILAR_RADIUS = 22
-BANDS, BAND_ROWS = 16, 6
-#: Smallest shingle hashes kept per text: similarity is exact up to so many shingles, estimated beyond.
-SKETCH = 256
-_MULTIPLIERS = np.random.default_rng(20).integers(1, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: One text in so many is looked at to tell common shingles; a shingle in this many of those is common.
+SAMPLED, COMMON = 32, 4
+SIZE = "struct<n: int, last: bigint>"
 
 
-def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5) -> DataFrame:
-    """(key, name, fp, bands, sketch): a digest of the words, SimHash, band keys and the first halves of the smallest hashes of every row."""
-    ship(docs.sparkSession)
+def _words(text: str | None) -> bytes:
+    return b" ".join((text or "").encode("utf-8", "surrogatepass").lower().split())
+
+
+def _name(text: str | None) -> bytes:
+    from xxhash import xxh3_128_digest
+
+    return xxh3_128_digest(_words(text))
+
 
-    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from xxhash import xxh3_128_digest
+def prefix_length(n: int, similarity: float) -> int:
+    """First shingles of ``n`` in the order of all of which a text with enough similarity shares one."""
+    return min(n, n - math.ceil(similarity * n - 1e-6) + 1)
 
+
+def names(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, name): a digest of the words of every row."""
+    ship(docs.sparkSession)
+
+    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            names, fps, bands, sketch = [], [], [], []
-            for t in b.column(1).to_pylist():
-                h = shingle_hashes(t, size)
-                names.append(xxh3_128_digest(b" ".join((t or "").encode("utf-8", "surrogatepass").lower().split())))
-                fps.append(vote(h))
-                low = np.unique(h)[:SKETCH]
-                rows = ((low[:, None] * _MULTIPLIERS) >> np.uint64(32)).min(axis=0, initial=np.uint64(1 << 32)).reshape(BANDS, BAND_ROWS)
-                keys = np.arange(BANDS, dtype=np.uint64)
-                for c in range(BAND_ROWS):
-                    keys = (keys ^ rows[:, c]) * np.uint64(0x9E3779B97F4A7C15)
-                    keys ^= keys >> np.uint64(31)
-                bands.append(keys.view(np.int64))
-                sketch.append((low >> np.uint64(32)).astype(np.uint32).view(np.int32))
-            columns = [pa.array(names, pa.binary()), pa.array(fps, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sketch, pa.list_(pa.int32()))]
-            yield pa.RecordBatch.from_arrays([b.column(0), *columns], names=[key, "name", "fp", "bands", "sketch"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([_name(t) for t in b.column(1).to_pylist()], pa.binary())], names=[key, "name"])
 
     rows = docs.select(F.col(key), F.col(text).cast("string").alias("_text"))
-    return rows.mapInArrow(sketched, f"`{key}` {docs.schema[key].dataType.simpleString()}, name binary, fp long, bands array<long>, sketch array<int>")
+    return rows.mapInArrow(named, f"`{key}` {docs.schema[key].dataType.simpleString()}, name binary")
+
+
+def common_shingles(docs: DataFrame, text: str = "text", size: int = 5):
+    """Broadcast bits of shingles that many texts have. Others may be marked too: they only settle the order."""
 
+    def sampled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [(n, t) for t in b.column(0).to_pylist() if (n := _name(t))[0] % SAMPLED == 0]
+            hashes = [np.unique(shingle_hashes(t, size)).view(np.int64) for _, t in got]
+            yield pa.RecordBatch.from_arrays([pa.array([n for n, _ in got], pa.binary()), pa.array(hashes, pa.list_(pa.int64()))], names=["name", "hashes"])
+
+    ship(docs.sparkSession)
+    some = docs.select(F.col(text).cast("string").alias("_text")).mapInArrow(sampled, "name binary, hashes array<long>").dropDuplicates(["name"])
+    return mark(some.select(F.explode("hashes").alias("number")).groupBy("number").count().filter(F.col("count") >= COMMON), "number")
 
-def _similar(pairs: DataFrame, least: float) -> DataFrame:
-    """Pairs (a, b, sa, sb) whose sketches agree enough: share of the union's smallest hashes that both have."""
+
+def prefixes(docs: DataFrame, common, similarity: float, text: str = "text", size: int = 5) -> DataFrame:
+    """(key, name, s): every shingle of the prefix of every text; s is the number of all its distinct shingles and where the prefix ends."""
+
+    def filed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[bytes] = set()  # copies in other tasks are dropped later
+        for b in batches:
+            keys, found, counts, sizes, last = [], [], [], [], []
+            for t in b.column(0).to_pylist():
+                if (name := _name(t)) in seen:
+                    continue
+                seen.add(name)
+                h = np.unique(shingle_hashes(t, size)).view(np.int64)
+                if not len(h):
+                    continue
+                sizes.append(len(h))
+                late = is_marked(common.value, h)
+                h = np.concatenate([h[~late], h[late]])[: prefix_length(len(h), similarity)]
+                last.append(int(h[-1] >> 2) + (1 << 62) * bool(is_marked(common.value, h[-1:])[0]))
+                keys.append(h)
+                found.append(name)
+                counts.append(len(h))
+            each = np.repeat(np.arange(len(found)), counts)
+            s = pa.StructArray.from_arrays([pa.array(sizes, pa.int32()), pa.array(last, pa.int64())], names=["n", "last"])
+            each = pa.array(each, pa.int64())
+            columns = [pa.array(np.concatenate([np.zeros(0, np.int64), *keys])), pa.array(found, pa.binary()).take(each), s.take(each)]
+            yield pa.RecordBatch.from_arrays(columns, names=["key", "name", "s"])
+
+    ship(docs.sparkSession)
+    return docs.select(F.col(text).cast("string").alias("_text")).mapInArrow(filed, f"key long, name binary, s {SIZE}")
+
+
+def _possible(pairs: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b, sa, sb) once, unless sizes or the number of shared prefix shingles rule the similarity out.
+
+    Of two texts one prefix ends first; what both texts share up to its end lies in both
+    prefixes, and what they share beyond is at most the rest of that text.
+    """
+    na, nb = F.col("sa.n"), F.col("sb.n")
+    least = F.ceil(F.lit(similarity / (1 + similarity)) * (na + nb) - 1e-6)
+    ra, rb = (F.greatest(F.ceil(F.lit(similarity) * n - 1e-6) - 1, F.lit(0)) for n in (na, nb))
+    rest = F.when(F.col("sa.last") < F.col("sb.last"), ra).when(F.col("sa.last") > F.col("sb.last"), rb).otherwise(F.greatest(ra, rb))
+    met = pairs.filter(F.least(na, nb) >= least).groupBy("a", "b", "sa", "sb").agg(F.count("*").alias("shared"))
+    return met.filter(F.col("shared") + rest >= least).select("a", "b")
+
+
+def _across(shared: DataFrame, label: DataFrame, similarity: float) -> DataFrame:
+    """(a, b, sa, sb): per key all pairs of members in different components whose sizes allow the similarity."""
+
+    def crossed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lists = b.column(1)
+            ends = np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))])
+            m = lists.flatten()
+            found, s = m.field("name"), m.field("s")
+            n = s.field("n").to_numpy(zero_copy_only=False)
+            root = pc.dictionary_encode(m.field("root")).indices.to_numpy(zero_copy_only=False)
+            left, right, many = [], [], 0
+            for first, e in zip(ends[:-1], ends[1:], strict=True):
+                if (root[first:e] == root[first]).all():
+                    continue
+                for i in range(first, e - 1):
+                    o = n[i + 1 : e]
+                    j = np.flatnonzero((root[i + 1 : e] != root[i]) & (np.minimum(o, n[i]) >= similarity * np.maximum(o, n[i]) - 1e-6)) + i + 1
+                    left.append(np.full(len(j), i))
+                    right.append(j)
+                    many += len(j)
+                    if many > 1 << 16:
+                        yield paired(found, s, left, right)
+                        left, right, many = [], [], 0
+            yield paired(found, s, left, right)
+
+    def paired(found, s, left, right) -> pa.RecordBatch:
+        i, j = (pa.array(np.concatenate([np.zeros(0, np.int64), *x])) for x in (left, right))
+        return pa.RecordBatch.from_arrays([found.take(i), found.take(j), s.take(i), s.take(j)], names=["a", "b", "sa", "sb"])
+
+    own = shared.join(label.toDF("name", "root"), "name", "left").withColumn("root", F.coalesce("root", "name"))
+    mixed = own.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("key")
+    pairs = dealt(own.join(mixed, "key", "left_semi"), ["name", "s", "root"]).mapInArrow(crossed, f"a binary, b binary, sa {SIZE}, sb {SIZE}")
+    return _ordered(pairs)
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    right = F.col("a") < F.col("b")
+    one, two = F.struct(F.col("a").alias("name"), F.col("sa").alias("s")), F.struct(F.col("b").alias("name"), F.col("sb").alias("s"))
+    both = pairs.select(F.when(right, one).otherwise(two).alias("x"), F.when(right, two).otherwise(one).alias("y"))
+    return both.select(F.col("x.name").alias("a"), F.col("y.name").alias("b"), F.col("x.s").alias("sa"), F.col("y.s").alias("sb"))
+
+
+def _similar(docs: DataFrame, pairs: DataFrame, least: float, text: str = "text", size: int = 5) -> DataFrame:
+    """Pairs (a, b) of texts that share at least ``least`` of all their distinct shingles."""
+    needed = durable(pairs.select(F.col("a").alias("name")).union(pairs.select("b")).distinct(), "needed")
+    marked = mark(needed.select(F.conv(F.hex(F.substring("name", 1, 7)), 16, 10).cast("long").alias("number")), "number")
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[bytes] = set()
+        for b in batches:
+            found = [_name(t) for t in b.column(0).to_pylist()]
+            good = is_marked(marked.value, np.array([int.from_bytes(n[:7], "big") for n in found], np.int64))
+            good = [bool(g) and n not in seen and not seen.add(n) for g, n in zip(good, found, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary()), b.column(0)], names=["name", "_text"]).filter(pa.array(good, pa.bool_()))
 
     def checked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last: dict[bytes, np.ndarray] = {}
         for b in batches:
             good = []
-            for x, y in zip(b.column(2), b.column(3), strict=True):
-                x, y = x.values.to_numpy().view(np.uint32), y.values.to_numpy().view(np.uint32)
-                # compare as far as both sketches are complete
-                top = np.uint32(2**32 - 1)
-                most = min(x[-1] if len(x) == SKETCH else top, y[-1] if len(y) == SKETCH else top) if len(x) and len(y) else top
-                x, y = x[x <= most], y[y <= most]
-                both = len(np.intersect1d(x, y))
-                good.append(both >= least * (len(x) + len(y) - both) if len(x) and len(y) else len(x) == len(y))
+            for a, b_, ta, tb in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                last = {n: last[n] if n in last else np.unique(shingle_hashes(t, size)) for n, t in ((a, ta), (b_, tb))}
+                x, y = last[a], last[b_]
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                good.append(both >= least * (len(x) + len(y) - both))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    return pairs.mapInArrow(checked, "a binary, b binary")
+    rows = docs.select(F.col(text).cast("string").alias("_text")).mapInArrow(held, "name binary, _text string")
+    whole = durable(rows.join(needed, "name", "left_semi").dropDuplicates(["name"]), "held")
+    met = pairs.join(whole.toDF("a", "ta"), "a").join(whole.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
+    return durable(met.mapInArrow(checked, "a binary, b binary"), "similar")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, similarity: float = SIMILARITY) -> DataFrame:
     """(key, component): rows whose texts are linked by a shingle similarity of at least ``similarity``; component is the smallest key."""
-    table = durable(sketches(docs, key, text, size), "sketches")
-    once = durable(table.groupBy("name").agg(F.min(key).alias("least"), F.first("fp").alias("fp"), F.first("bands").alias("bands")), "once")
-    found = durable(bucket_links(once.select("name", "fp", F.explode("bands").alias("key")), SIMILAR_RADIUS, chained=False), "candidates")
-    needed = found.select(F.col("a").alias("name")).union(found.select("b")).distinct()
-    number = F.conv(F.hex(F.substring("name", 1, 7)), 16, 10).cast("long")
-    marked = mark(needed.select(number.alias("number")), "number")
-
-    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            numbers = np.array([int.from_bytes(n[:7], "big") for n in b.column(0).to_pylist()], np.int64)
-            yield b.filter(pa.array(is_marked(marked.value, numbers)))
-
-    sketch = table.select("name", "sketch").mapInArrow(held, "name binary, sketch array<int>").dropDuplicates(["name"]).join(needed, "name", "left_semi")
-    sketch = durable(sketch, "held")
-    pairs = found.join(sketch.toDF("a", "sa"), "a").join(sketch.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
-    roots = components(_similar(pairs, similarity))
+    table = durable(names(docs, key, text), "names")
+    once = table.groupBy("name").agg(F.min(key).alias("least"))
+    filed = prefixes(docs, common_shingles(docs, text, size), similarity, text, size)
+    of = Window.partitionBy("key")
+    met = filed.withColumn("lo", F.min("name").over(of)).withColumn("hi", F.max("name").over(of)).filter("lo <> hi")
+    shared = durable(met.select("key", "name", "s").distinct(), "shared")
+    # the member of each key that meets the most others in all its keys
+    company = shared.join(shared.groupBy("key").agg(F.count("*").alias("m")), "key").groupBy("name").agg(F.sum("m").alias("company"))
+    centre = shared.join(company, "name").groupBy("key").agg(F.max(F.struct("company", "name", "s")).alias("c"))
+    star = shared.join(centre, "key").select(F.col("name").alias("a"), F.col("c.name").alias("b"), F.col("s").alias("sa"), F.col("c.s").alias("sb")).filter("a <> b")
+    tried = durable(_possible(_ordered(star), similarity), "tried")
+    edges = _similar(docs, tried, similarity, text, size)
+    roots = components(edges)
+    rest = durable(_possible(_across(shared, roots, similarity), similarity).join(tried, ["a", "b"], "left_anti"), "rest")
+    if not rest.isEmpty():
+        roots = components(edges.union(_similar(docs, rest, similarity, text, size)))
     named = once.join(roots.withColumnRenamed("node", "name"), "name", "left").select("name", "least", F.coalesce("root", "name").alias("root"))
     named = named.join(named.groupBy("root").agg(F.min("least").alias("component")), "root").select("name", "component")
     return table.select(key, "name").join(durable(named, "named"), "name").select(key, "component")
