@@ -174,6 +174,112 @@ def test_classifier_edges(spark, docs, empty, method):
     assert {round(r.score, 3) for r in method.score(docs, none).collect()} == {0.5}
 
 
+def test_toxicity_against_brute_force(spark):
+    """Ratios counted one by one, and every score as a plain sum over the text's set of n-grams."""
+    rng = random.Random(21)
+    texts = [sentence(rng, rng.randrange(3, 40)) + (" awful nasty" if i % 3 == 0 else "") for i in range(120)]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(120)], "doc_id long, toxic int")
+    kept = [i for i in range(120) if zlib.crc32(str(i).encode()) % 5]
+
+    def grams(t):
+        hashed, _ = toxicity.grams([t])
+        return {int(h) for g in hashed for h in g if h >= 0}
+
+    yes, no = collections.Counter(), collections.Counter()
+    for i in kept:
+        (no if i % 3 else yes).update(grams(texts[i]))
+    n_yes = sum(i % 3 == 0 for i in kept)
+    n_no = len(kept) - n_yes
+    want = {}
+    for h in yes.keys() | no.keys():
+        a, b = yes[h] + n_yes / len(kept), no[h] + n_no / len(kept)
+        r, error = np.log(a / (n_yes + 1)) - np.log(b / (n_no + 1)), np.sqrt(1 / a + 1 / b)
+        if abs(r) > 2 * error:
+            want[h] = r
+    sets = toxicity.feature_sets(quality.training_rows(rows, labels, "toxic", "doc_id", "text", 1000))
+    got = toxicity.ratios(sets)
+    assert set(np.flatnonzero(got).tolist()) == set(want) and len(want) > 20
+    assert all(abs(got[h] - r) < 1e-9 for h, r in want.items())
+    weights, bias = toxicity.fit(rows, labels)
+    assert set(np.flatnonzero(weights).tolist()) <= set(want)
+    for r in toxicity.score(rows, (weights, bias)).collect():
+        assert r.score == pytest.approx(1 / (1 + np.exp(-(sum(float(weights[h]) for h in grams(r.text)) + bias))), rel=1e-5)
+
+
+def test_toxicity_training_against_plain_descent():
+    rng = np.random.default_rng(3)
+    ratio = np.zeros(1 << toxicity.BITS)
+    ratio[:30] = rng.normal(size=30)
+    rows = [(np.flatnonzero(rng.random(30) < 0.3).astype(np.int32), int(rng.random() < 0.4)) for _ in range(40)]
+    weights, bias = toxicity.train(rows, ratio)
+    x = np.array([[ratio[j] if j in set(f.tolist()) else 0.0 for j in range(30)] for f, _ in rows])
+    y = np.array([v for _, v in rows], float)
+    w, b, gw, gb = np.zeros(30), 0.0, np.full(30, 1e-8), 1e-8
+    share = np.where(y == 1, 0.5 / y.sum(), 0.5 / (1 - y).sum())
+    for _ in range(120):
+        e = (1 / (1 + np.exp(-(x @ w + b))) - y) * share
+        d = x.T @ e + 5e-2 * w
+        gw, gb = gw + d * d, gb + e.sum() ** 2
+        w, b = w - 0.1 * d / np.sqrt(gw), b - 0.1 * e.sum() / np.sqrt(gb)
+    assert np.allclose(weights[:30], w * ratio[:30], atol=1e-4) and abs(bias - b) < 1e-4
+
+
+def test_quality_against_plain_updates(spark):
+    """Features token by token, updates coordinate by coordinate, scores as plain sums."""
+    import re
+
+    def tokens(text):
+        return [m[0] for m in re.finditer(rb"\n+|[0-9]+|[A-Za-z\x80-\xff]+|([\x21-\x7f])\1*", text.encode())]
+
+    texts = ["Two  two!! 12ab\nend", "a, a, a", "", "é ß 9"]
+    column = __import__("pyarrow").array(texts)
+    from tileaqp.llm import _hashing
+
+    raw, at = _hashing.utf8(column)
+    f, o = quality.features(raw, at)
+    seen = {}
+    for k, t in enumerate(texts):
+        part, toks = f[o[k] : o[k + 1]], tokens(t)
+        assert len(part) == max(0, 2 * len(toks) - 1)
+        names = [("one", x) for x in toks for _ in (0,)]
+        pairs_ = [("again",) if a == b else ("two", a, b) for a, b in zip(toks, toks[1:], strict=False)]
+        for name, h in [*zip(names, part[0::2].tolist(), strict=True), *zip(pairs_, part[1::2].tolist(), strict=True)]:
+            assert seen.setdefault(name, h) == h
+    assert len(set(seen.values())) == len(seen)
+    rows = [(np.array(f[o[k] : o[k + 1]]), k % 2) for k in range(4)]
+    weights, bias = quality.train(iter(rows), epochs=2)
+    z, n, last = collections.Counter(), collections.Counter(), 1 << quality.BITS
+
+    def weight(i):
+        return 0.0 if abs(z[i]) <= 0.1 else -(z[i] - np.sign(z[i]) * 0.1) / (1 + np.sqrt(n[i]) + 0.1)
+
+    order = np.random.default_rng(5)
+    for _ in range(2):
+        for k in order.permutation(4):
+            ids = collections.Counter(rows[k][0].tolist())
+            x = {i: c / max(1.0, np.sqrt(sum(ids.values()))) for i, c in ids.items()} | {last: 1.0}
+            w = {i: weight(i) for i in x}
+            g = 1 / (1 + np.exp(-sum(w[i] * x[i] for i in x))) - rows[k][1]
+            for i in x:
+                step = g * x[i]
+                z[i] += step - (np.sqrt(n[i] + step * step) - np.sqrt(n[i])) * w[i]
+                n[i] += step * step
+    assert bias == pytest.approx(weight(last)) and all(weights[i] == pytest.approx(weight(i), abs=1e-6) for i in z if i != last)
+    got = quality.score_texts(column, weights, bias)
+    for k in range(4):
+        total = sum(float(weights[i]) for i in rows[k][0].tolist()) / max(1.0, np.sqrt(len(rows[k][0])))
+        assert got[k] == pytest.approx(1 / (1 + np.exp(-(bias + total))), rel=1e-5)
+
+
+def test_training_rows_are_bounded_and_the_same(spark):
+    rows = spark.createDataFrame([(i % 40, f"text {i} " * 20) for i in range(200)] + [(100, "x" * 5000), (101, None)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1) for i in (*range(40), 100, 101)] + [(3, 0), (None, 1)], "doc_id long, quality int")
+    got = [tuple(r) for r in quality.training_rows(rows, labels, "quality", "doc_id", "text", 20, 3000).collect()]
+    again = [tuple(r) for r in quality.training_rows(rows.repartition(7), labels, "quality", "doc_id", "text", 20, 3000).collect()]
+    assert sorted(got) == sorted(again) and 5 < len(got) <= 20 and sum(len(t) for t, _ in got) <= 3000
+
+
 # 5: SimHash
 
 

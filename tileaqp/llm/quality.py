@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from ..runtime import ship
+from ..runtime import durable, ship
 from . import _hashing as H
 
 BITS = 20
@@ -26,6 +26,8 @@ BASE = 0x5851F42D4C957F2D
 BATCH_BYTES = 1 << 19
 #: At most so many labelled rows are used for training; the rows of smallest hashed key.
 TRAIN_ROWS = 4_000
+#: And at most so many bytes of their texts.
+TRAIN_BYTES = 32 << 20
 
 _CLASS = np.full(256, 3, np.uint8)  # 3: other visible bytes
 for _lo, _hi, _k in ((0, 33, 0), (48, 58, 2), (65, 91, 1), (97, 123, 1), (128, 256, 1)):
@@ -113,18 +115,30 @@ def held_out(key) -> F.Column:
     return F.coalesce(F.crc32(key.cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, label: str, key: str, text: str, limit: int) -> DataFrame:
-    """(text, label) of at most ``limit`` labelled keys outside the held-out fold, by hashed key: the same rows on every run."""
+def training_rows(docs: DataFrame, labels: DataFrame, label: str, key: str, text: str, limit: int, most_bytes: int = TRAIN_BYTES) -> DataFrame:
+    """(_t, _y): a durable table of at most ``limit`` labelled texts outside the held-out fold, the same on every run.
+
+    Keys are taken by their hash. Of rows that repeat a key the smallest text counts; of
+    labels that repeat one, the largest. Texts count in the same order until
+    all together hold ``most_bytes``, each of at most a sixteenth of that, so that
+    what training gathers is bounded whatever the rows hold.
+    """
     chosen = (
         labels.filter(F.col(key).isNotNull() & F.col(label).isNotNull() & ~held_out(F.col(key)))
         .groupBy(F.col(key).alias("_k")).agg(F.max(F.col(label).cast("int")).alias("_y"))
         .orderBy(F.xxhash64("_k"), "_k").limit(limit)
     )
-    return docs.select(F.col(key).alias("_k"), F.col(text).cast("string").alias("_t")).join(F.broadcast(chosen), "_k").select("_t", "_y")
+    body = F.coalesce(F.col(text).cast("string"), F.lit(""))
+    met = docs.select(F.col(key).alias("_k"), body.alias("_t")).join(F.broadcast(chosen), "_k").filter(F.octet_length("_t") <= most_bytes // 16)
+    rows = durable(met.groupBy("_k", "_y").agg(F.min("_t").alias("_t")), "training").withColumn("_h", F.xxhash64("_k"))
+    sizes = sorted(map(tuple, rows.select("_h", F.octet_length("_t")).collect()))  # two numbers for each of the ``limit`` rows
+    held = np.cumsum([n for _, n in sizes])
+    last = int(np.searchsorted(held, most_bytes, side="right"))
+    return (rows if last == len(sizes) else rows.filter(F.col("_h") < sizes[last][0])).select("_t", "_y")
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", key: str = "doc_id", text: str = "text", limit: int = TRAIN_ROWS) -> tuple[np.ndarray, float]:
-    """Train on the driver from hashed features that the executors make; ``limit`` rows bound what it gathers."""
+    """Train on the driver from hashed features that the executors make; ``limit`` rows and ``TRAIN_BYTES`` bound what it gathers."""
     ship(docs.sparkSession)
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -134,7 +148,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", key: str = "
                 rows = pa.LargeListArray.from_arrays(pa.array(o), pa.array(f.astype(np.int32))).cast(pa.list_(pa.int32()))
                 yield pa.RecordBatch.from_arrays([rows, b.column(1).slice(i, j - i)], names=["f", "y"])
 
-    got = training_rows(docs, labels, label, key, text, limit).mapInArrow(hashed, "f array<int>, y int").limit(limit).toArrow()
+    got = training_rows(docs, labels, label, key, text, limit).mapInArrow(hashed, "f array<int>, y int").toArrow()
     f, y = got.column(0).combine_chunks(), got.column(1).to_numpy()
     if not len(y):
         return np.zeros(1 << BITS, np.float32), 0.0

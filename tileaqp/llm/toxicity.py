@@ -2,9 +2,10 @@
 
 Texts are lower-cased; the n-grams of 3 to 5 characters are hashed. A feature is
 the presence of an n-gram, times the log ratio of its smoothed shares in toxic
-and other training texts; a logistic regression is trained on these. Features
-whose final weight can't matter are set to zero, so that scoring a text looks at
-few distinct hits after one gather for each character and order.
+and other training texts; a ratio within ``SURE`` standard errors of zero is taken
+as zero, as it tells nothing of the label. Executors count the n-grams and make the ratios; a
+logistic regression is trained on all features whose ratio isn't zero. Scoring a
+text looks at those alone, after one gather for each character and order.
 
 Null and empty texts have no feature and get the score of the bias. Texts of any
 length count whole. Repeated rows are scored each for itself, other columns stay
@@ -19,9 +20,9 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, functions as F
 
-from ..runtime import ship
+from ..runtime import durable, ship
 from . import _hashing as H
 from .quality import training_rows
 
@@ -30,8 +31,8 @@ ORDERS = (3, 4, 5)
 BATCH_BYTES = 1 << 15
 #: At most so many labelled rows are used for training; the rows of smallest hashed key.
 TRAIN_ROWS = 6_000
-#: Only so many features of largest weight are kept.
-KEPT = 1 << 12
+#: Standard errors that a log-count ratio is away from zero to be more than chance.
+SURE = 2.0
 
 _CODES = H.symbol_codes(1 << 12, 11)
 
@@ -80,24 +81,27 @@ def _slices(column: pa.Array, most: int = BATCH_BYTES) -> Iterator[tuple[int, li
         i = j
 
 
-def train(rows: list[tuple[np.ndarray, int]], smoothing: float = 1.0, rounds: int = 120, l2: float = 5e-2) -> tuple[np.ndarray, float]:
-    """Weights of the features (log-count ratio times regression weight) and the bias."""
+def log_ratio(yes: Column, n: Column, toxic: float, others: float, smoothing: float = 1.0) -> tuple[Column, Column]:
+    """The log ratio of smoothed shares of an n-gram that ``n`` training texts have, ``yes`` toxic ones of them, and its standard error.
+
+    Smoothing follows the sizes of both classes, so that an n-gram never seen has the ratio zero.
+    """
+    share = toxic / (toxic + others)
+    one, two = yes + F.lit(smoothing * share), n - yes + F.lit(smoothing * (1 - share))
+    return F.log(one / F.lit(toxic + smoothing)) - F.log(two / F.lit(others + smoothing)), F.sqrt(1 / one + 1 / two)
+
+
+def train(rows: list[tuple[np.ndarray, int]], ratio: np.ndarray, rounds: int = 120, l2: float = 5e-2) -> tuple[np.ndarray, float]:
+    """Weights of the hashed features (log-count ratio times regression weight) and the bias, from sets of features with a ratio."""
     size = 1 << BITS
     y = np.array([y for _, y in rows], np.float64)
     if not len(y) or y.min() == y.max():
         return np.zeros(size + 1, np.float32), 0.0 if not len(y) else float(np.clip((2 * y[0] - 1) * 3, -3, 3))
-    yes, no = np.full(size, smoothing), np.full(size, smoothing)
-    for f, label in rows:  # a row has each feature once
-        (yes if label == 1 else no)[f] += 1
-    often = yes + no >= 2 * smoothing + 3
-    ratio = np.where(often, np.log(yes / (y.sum() + 2 * smoothing)) - np.log(no / ((1 - y).sum() + 2 * smoothing)), 0.0)
-    few = np.argsort(-np.abs(ratio) * np.sqrt(yes + no), kind="stable")[:KEPT]
-    few = few[ratio[few] != 0]
+    few = np.flatnonzero(ratio)
     name = np.full(size, -1, np.int32)
     name[few] = np.arange(len(few))
-    kept = [(k := name[f])[k >= 0] for f, _ in rows]  # of thousands of n-grams a text has few that matter
-    f = np.concatenate(kept)
-    doc = np.repeat(np.arange(len(rows), dtype=np.int32), [len(k) for k in kept])
+    f = name[np.concatenate([np.zeros(0, np.int64), *(k for k, _ in rows)])]
+    doc = np.repeat(np.arange(len(rows), dtype=np.int32), [len(k) for k, _ in rows])
     x = ratio[few].astype(np.float32)[f]
     w, b = np.zeros(len(few)), 0.0
     gw, gb = np.full(len(few), 1e-8), 1e-8
@@ -111,8 +115,7 @@ def train(rows: list[tuple[np.ndarray, int]], smoothing: float = 1.0, rounds: in
         w -= 0.1 * d / np.sqrt(gw)
         b -= 0.1 * e.sum() / np.sqrt(gb)
     out = np.zeros(size + 1, np.float32)  # the last one stands for -1: no n-gram
-    keep = np.abs(w * ratio[few]) > 1e-3
-    out[few[keep]] = (w * ratio[few])[keep]
+    out[few] = w * ratio[few]
     return out, float(b)
 
 
@@ -125,21 +128,49 @@ def score_texts(column: pa.Array, weights: np.ndarray, bias: float) -> np.ndarra
     return out
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "doc_id", text: str = "text", limit: int = TRAIN_ROWS) -> tuple[np.ndarray, float]:
-    """Train on the driver from the n-gram sets that the executors make; ``limit`` rows bound what it gathers."""
-    ship(docs.sparkSession)
+def ratios(sets: DataFrame) -> np.ndarray:
+    """The log-count ratio of each hashed n-gram of (f, y), zero where it may be chance; executors count, at most 2**BITS numbers come back."""
+    out = np.zeros(1 << BITS)
+    all_ = sets.agg(F.count("*").alias("n"), F.sum("y").alias("yes")).first()
+    if not all_.n or all_.yes in (0, all_.n):
+        return out
+    counted = sets.select("y", F.explode("f").alias("f")).groupBy("f").agg(F.sum("y").alias("yes"), F.count("*").alias("n"))
+    r, error = log_ratio(F.col("yes"), F.col("n"), float(all_.yes), float(all_.n - all_.yes))
+    got = counted.select("f", r.alias("r"), error.alias("error")).filter(F.abs("r") > SURE * F.col("error")).select("f", "r").toArrow()
+    out[got["f"].to_numpy()] = got["r"].to_numpy()
+    return out
+
+
+def feature_sets(rows: DataFrame) -> DataFrame:
+    """(f, y): the distinct hashed n-grams of every training text, and its label."""
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, texts in _slices(b.column(0)):
                 doc, f = _present(texts)
                 at = np.searchsorted(doc, np.arange(len(texts) + 1))
-                rows = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(f.astype(np.int32)))
-                yield pa.RecordBatch.from_arrays([rows, b.column(1).slice(i, len(texts))], names=["f", "y"])
+                made = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(f.astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([made, b.column(1).slice(i, len(texts))], names=["f", "y"])
+
+    return rows.mapInArrow(sets, "f array<int>, y int")
+
+
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", key: str = "doc_id", text: str = "text", limit: int = TRAIN_ROWS) -> tuple[np.ndarray, float]:
+    """Count in the executors, then train on the driver from the features of ``limit`` texts whose ratio isn't zero."""
+    spark = docs.sparkSession
+    ship(spark)
+    sets = durable(feature_sets(training_rows(docs, labels, label, key, text, limit)), "ngrams")
+    ratio = ratios(sets)
+    shared = spark.sparkContext.broadcast(ratio != 0)
+
+    def useful(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            f = [x[shared.value[x]] for x in (v.values.to_numpy() for v in b.column(0))]
+            yield pa.RecordBatch.from_arrays([pa.array(f, pa.list_(pa.int32())), b.column(1)], names=["f", "y"])
 
-    got = training_rows(docs, labels, label, key, text, limit).mapInArrow(sets, "f array<int>, y int").limit(limit).toArrow()
+    got = sets.mapInArrow(useful, "f array<int>, y int").toArrow()
     rows = [(f.values.to_numpy(), y.as_py()) for b in got.to_batches() for f, y in zip(b.column(0), b.column(1), strict=True)]
-    return train(sorted(rows, key=lambda r: (len(r[0]), zlib.crc32(r[0]), r[1])))  # the same order on every run
+    return train(sorted(rows, key=lambda r: (len(r[0]), zlib.crc32(r[0]), r[1])), ratio)  # the same order on every run
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], text: str = "text", column: str = "score", keep: list[str] | None = None) -> DataFrame:
