@@ -436,6 +436,66 @@ def luhn(digits: str) -> bool:
     return sum(sum(divmod(int(d) * (1 + i % 2), 10)) for i, d in enumerate(reversed(digits))) % 10 == 0
 
 
+def test_names_keep_surname_case_and_gender(spark):
+    rows = [
+        "Mr. John Smith met Mr. Smith and Dr. Smith, Mr. JOHN SMITH's dog. Ms. Anna Weber, Dr. Anna Weber; Dr. Robin O'Neil-Jones",
+        "Госпожа Анна Иванова и Господин Иванов, Κυρία Παπαδοπούλου Κύριος Παπαδόπουλος",
+        "v1.2.3.4 order 1234567890123 fe80::1ff:fe23:4567:890a FE80::1FF:FE23:4567:890A 300.1.1.1",
+    ]
+    frame = spark.createDataFrame([(i, t, 1, 2) for i, t in enumerate(rows)], "doc_id long, text string, _pii_ int, _pii_map int")
+    got = {r.doc_id: r for r in pii.replace(frame, "k").collect()}
+    assert got[0].n_entities == 7 and got[0]["_pii_"] == 1 and got[0]["_pii_map"] == 2
+    w = got[0].text.replace(",", "").replace(".", "").replace(";", "").split()
+    first, last = w[1], w[2]
+    assert last not in ("Smith", first) and w[5] == last and w[8] == last and w[10:12] == [first.upper(), f"{last.upper()}'s"]
+    assert w[13] == "Ms" and w[14:16] == w[17:19] and w[14].endswith("na") and first.endswith("n")
+    assert "Smith" not in got[0].text and "SMITH" not in got[0].text and "O'Neil" not in got[0].text
+    words = got[1].text.replace(",", "").split()
+    assert words[2].endswith("ова") and words[5].endswith("ов") and words[2][:-1] == words[5] and words[7].endswith("ου") and words[9].endswith("ος") and words[7][:-2] == words[9][:-2]
+    assert got[2].text.startswith("v1.2.3.4 order 1234567890123 ") and got[2].text.endswith(" 300.1.1.1")
+    low, high = got[2].text.split()[3:5]
+    assert low.upper() == high and low != "fe80::1ff:fe23:4567:890a" and low.count(":") == 6
+
+
+def test_query_against_a_plain_search(spark):
+    """All of a given table: the same mentions found by another engine, everything else unchanged, one surrogate for each entity and format kept."""
+    import regex
+
+    from tileaqp.llm import queries
+
+    folder = "/root/testdata/sf0.01"
+    got = {r.doc_id: r for r in queries.op7_pii(spark, folder).collect()}
+    any_ = regex.compile("|".join(f"(?P<{k}>{p})" for k, p in pii.KINDS.items()))
+    texts = [(r.doc_id, r.text) for r in spark.read.parquet(f"{folder}/documents.parquet").select("doc_id", "text").collect()]
+    made, back, seen = {}, {}, 0
+    for i, t in texts:
+        found = list(any_.finditer(t))
+        assert got[i].n_entities == len(found)
+        new, at = got[i].text, 0
+        for k, m in enumerate(found):
+            gap = t[found[k - 1].end() if k else 0 : m.start()]
+            assert new.startswith(gap, at)
+            at += len(gap)
+            after = t[m.end() : found[k + 1].start() if k + 1 < len(found) else len(t)]
+            end = len(new) if k + 1 == len(found) and not after else new.index(after, at + 1) if after else at + len(m[0])
+            put, at = new[at:end], end
+            seen += 1
+            assert put != m[0] and put == made.setdefault(m[0], put)
+            core = regex.sub(r"[ .()+:-]", "", m[0]).lower() if m.lastgroup in ("phone", "card", "ssn", "iban") else m[0].lower()
+            same = regex.sub(r"[ .()+:-]", "", put).lower() if m.lastgroup in ("phone", "card", "ssn", "iban") else put.lower()
+            assert back.setdefault((m.lastgroup, same), core) == core
+            if m.lastgroup in ("phone", "card", "ssn", "iban"):
+                assert regex.sub(r"[0-9A-Z]", "x", put) == regex.sub(r"[0-9A-Z]", "x", m[0])
+        assert found or new == t
+    assert seen > 50
+
+
+def test_more_names_than_short_surrogates(spark):
+    entities = spark.range(30_000).select(F.lit("name").alias("kind"), F.concat(F.lit("n"), "id").alias("value"))
+    got = pii.distinct_surrogates(entities, "k")
+    assert got.select("made").distinct().count() == 30_000
+
+
 def test_clashing_surrogates_are_drawn_again(spark, monkeypatch):
     from pyspark.sql import functions as G
 
