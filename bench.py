@@ -25,12 +25,12 @@ def main() -> None:
     from tileaqp.plans.model import SamplingPolicy
     from tileaqp.plans.workload import run_workload
 
-    policy = SamplingPolicy(kind="fpc_aware", cap=16.0, rate0=0.03, exhaust_below=25, pooled_floor=3)  # few large rounds: a round costs a job
+    policy = SamplingPolicy(kind="fpc_aware", cap=16.0, rate0=0.03, exhaust_below=25, pooled_floor=3, ahead=True)  # few large rounds: a round costs a job
     seconds: dict[str, float] = {}
     reads: dict[str, int] = {}
     accuracy: dict[str, float] = {}
     warm = setting(spark, FOLDER)
-    run_workload(warm, path_queries(warm, eps=0.01, steps=3), policy=policy)
+    run_workload(warm, path_queries(warm, eps=0.01, steps=12), policy=policy)
     for name, table, eps in (("uniform_1pct", "uniform", 0.01), ("uniform_5pct", "uniform", 0.05), ("dense_1pct", "dense", 0.01), ("low_variance_1pct", "low_variance", 0.01)):
         s = setting(spark, FOLDER, table)
         got = run_workload(s, path_queries(s, eps=eps, steps=STEPS), policy=policy)

@@ -243,12 +243,52 @@ def test_bitmaps(bound):
     ix.stats.clear()
     evaluate(ix, q(ix.domain.box, "sum", eps=0.1))
     tile = max(ix.leaves(), key=lambda t: t.n_objects)
-    bits, n = ix.bitmap(tile, "l_quantity")
-    assert len(bits) == tile.n_objects and n == ix.stat(tile.tile_id, "l_quantity").moments.n
+    one = ix.bitmap(tile, "l_quantity").agg(F.sum("n_objects"), F.sum("n_read")).first()
+    n = ix.stat(tile.tile_id, "l_quantity").moments.n
+    assert tuple(one) == (tile.n_objects, n)
     rows = {r.tile_id: (r.n_read, r.n_objects) for r in ix.bitmap_frame("l_quantity").collect()}
     assert rows[tile.tile_id] == (n, tile.n_objects)
 
 
+AHEAD = SamplingPolicy(kind="fpc_aware", cap=16.0, rate0=0.03, exhaust_below=25, pooled_floor=3, ahead=True)
+
+
+def test_counting_and_reading_in_one_job(spark, bound):
+    """The same populations and exact answers as in two steps; parts keep what was read of them and nothing else."""
+    domain, objects = bound
+    path = as_queries(make_path(domain.box, centre_window(domain.box, 0.5), 8), (Agg("sum", "l_quantity"), Agg("mean", "l_quantity"), Agg("count")), 0.05)
+    ix, met = fresh(bound), 0
+    exact = {r.query_id: r for r in full_scan(objects, workload_frame(spark, path), [Agg("sum", "l_quantity")]).collect()}
+    for query in path:
+        r = evaluate(ix, query, AHEAD)
+        truth = exact[query.query_id]
+        assert r.pop == truth.pop == r.answers[2].estimate and all(a.eps_est <= 0.05 for a in r.answers)
+        met += r.answers[0].ci_low <= truth.sum_l_quantity <= r.answers[0].ci_high
+        whole = evaluate(fresh(bound), query.with_bound(0.0), AHEAD)
+        assert whole.rounds == 1 and whole.answers[0].estimate == pytest.approx(truth.sum_l_quantity)
+    assert met >= 6 and len(ix.leaves()) > 16
+    checked = 0
+    for (tile_id, attr), stat in ix.stats.items():
+        t = ix.tiles[tile_id]
+        rows = ix.with_tile(objects, [t]).filter(F.col("rkey") < stat.theta)
+        if t.depth and stat.moments.n and checked < 12:
+            checked += 1
+            got = rows.agg(F.count("*").alias("n"), F.avg(attr).alias("m")).first()
+            assert got.n == stat.moments.n and got.m == pytest.approx(stat.moments.mean)
+    assert checked
+
+
+def test_reading_from_clustered_files(spark, bound, tmp_path):
+    """Answers from files equal those from memory, and cells and keys reach the scan."""
+    domain, objects = bound
+    write_objects(objects, f"{tmp_path}/objects", 4)
+    ix = build_index(objects, AxisSpec("ax", "ay"), [], ["l_quantity"], IndexConfig(grid=(4, 4), split_min=40), domain=domain, objects=spark.read.parquet(f"{tmp_path}/objects"))[0]
+    memory = fresh(bound)
+    for query in as_queries(make_path(domain.box, centre_window(domain.box, 0.4), 4), (Agg("sum", "l_quantity"),), 0.02):
+        a, b = evaluate(ix, query, AHEAD), evaluate(memory, query, AHEAD)
+        assert (a.io_ops, a.pop, a.rounds) == (b.io_ops, b.pop, b.rounds) and a.answers[0].estimate == pytest.approx(b.answers[0].estimate)
+
+
 def test_session_and_workload(spark, lineitem, bound):
     s = ExplorationSession(fresh(bound), centre_window(bound[0].box, 0.5), (Agg("sum", "l_quantity"),), 0.1)
     rows = s.run([("query",), ("pan", 0.1, 0.0), ("zoom", 0.5), ("bound", 0.02), ("query",), ("aggs", Agg("mean", "l_tax")), ("query",)]).collect()

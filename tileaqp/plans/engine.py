@@ -5,6 +5,8 @@ from __future__ import annotations
 import math
 import time
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import Window, functions as F
@@ -12,7 +14,7 @@ from pyspark.sql import Window, functions as F
 from ..functions.quantiles import two_sided_z
 from .estimators import Moments, Stratum, answer, moment_columns, moments_of
 from .geometry import CELL_BITS, Tile, classify
-from .index import Stats, TileIndex
+from .index import MOST_LITERALS, Stats, TileIndex
 from .model import KEY_SPACE, Answer, QueryResult, SamplingPolicy, Viewport, ViewportQuery
 
 
@@ -101,27 +103,87 @@ def plan_strata(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy) -> l
     return single or out
 
 
+def _moments_sql(attr: str, i: int, high: bool) -> list[str]:
+    """The aggregates of :func:`moment_columns` over rows marked ``_d{i}``."""
+    v, f = f"_v{i}", f"FILTER (WHERE _d{i})"
+    out = [f"count({v}) {f} AS `{attr}__n`", f"avg({v}) {f} AS `{attr}__mean`", f"var_pop({v}) {f} AS `{attr}__var`", f"min({v}) {f} AS `{attr}__low`", f"max({v}) {f} AS `{attr}__high`", f"count(`{attr}`) {f} AS `{attr}__filled`"]
+    return out + [f"skewness({v}) {f} AS `{attr}__skew`", f"kurtosis({v}) {f} AS `{attr}__kurt`"] if high else out
+
+
+@dataclass(frozen=True)
+class Ask:
+    """What one job is to find out of a tile: counts of its parts and the moments of objects with keys from ``own`` (by measure) to ``to``."""
+
+    tile: Tile
+    full: bool
+    own: tuple[int, ...]
+    to: int
+    count: bool = False
+
+
+def read_tiles(index: TileIndex, q: ViewportQuery, asks: list[Ask]) -> dict[tuple[int, int], dict]:
+    """By tile and quarter (quarters only where counts are asked): objects, objects in the window, objects read, moments.
+
+    One job whose text is the same for all queries of the same measures, so that it is
+    compiled once; tiles, window and limits are a small broadcast table. Where the
+    objects are in files, cells and the largest limit are literals, for row groups and pages to be pruned.
+    """
+    if not asks:
+        return {}
+    attrs, w = q.attrs(), q.window
+    shift = [max(0, CELL_BITS - 2 * a.tile.depth - 2) for a in asks]
+    mask = [3 if a.count and a.tile.depth < CELL_BITS // 2 else 0 for a in asks]
+    table = {
+        "_root": pa.array([a.tile.root for a in asks], pa.int32()), "_lo": [a.tile.zlo for a in asks], "_hi": [a.tile.zhi for a in asks], "tile_id": pa.array([a.tile.tile_id for a in asks], pa.int64()),
+        "_shift": pa.array(shift, pa.int32()), "_mask": mask, "_full": [a.full for a in asks], "_count": [a.count for a in asks], "_low": pa.array([min(a.own, default=KEY_SPACE) for a in asks], pa.int64()), "_high": pa.array([a.to for a in asks], pa.int64()),
+        **{f"_own{i}": pa.array([a.own[i] for a in asks], pa.int64()) for i in range(len(attrs))}, **_window_columns(w, len(asks)),
+    }
+    drawn = f"rkey >= _low AND rkey < _high AND (_full OR {_INSIDE})"
+    marks = "".join(f", coalesce(cast(`{a}` AS double), 0D) AS _v{i}, {drawn} AND rkey >= _own{i} AS _d{i}" for i, a in enumerate(attrs))
+    high = any(a.ci == "delta" for a in q.aggs)
+    moments = "".join(f", {c}" for i, a in enumerate(attrs) for c in _moments_sql(a, i, high))
+    prune = ""
+    if index.prunes:
+        counted, read = sorted({a.tile.root for a in asks if a.count}), sorted({a.tile.root for a in asks if not a.count})
+        most = max((a.to for a in asks if not a.count), default=0)
+        parts = [f"({_runs_sql(counted)})"] * bool(counted) + [f"(({_runs_sql(read)}) AND rkey < {most}L)"] * bool(read)
+        prune = f"({' OR '.join(parts)}) AND "
+    text = f"""
+        SELECT /*+ BROADCAST(_t) */ tile_id, cast(shiftright(zcode, _shift) & _mask AS int) AS part,
+               count(*) AS n, count(1) FILTER (WHERE _in) AS w, count(1) FILTER (WHERE _dr) AS _n{moments}
+        FROM (SELECT *, {_INSIDE} AS _in, {drawn} AS _dr{marks} FROM {index.view()} JOIN {index.view()}_tiles AS _t ON root = _root AND zcode >= _lo AND zcode < _hi WHERE {prune}(_count OR ({drawn})))
+        GROUP BY 1, 2"""
+    spark = index.spark
+    spark.createDataFrame(pa.table(table)).createOrReplaceTempView(f"{index.view()}_tiles")
+    rows = spark.sql(text).collect()  # four rows a tile at most
+    return {(r["tile_id"], r["part"]): r.asDict() for r in rows}
+
+
+def _runs_sql(roots: list[int]) -> str:
+    """Cells as few ranges, one for each line of the grid that a window meets."""
+    runs: list[list[int]] = []
+    for r in roots:
+        if runs and r == runs[-1][1] + 1:
+            runs[-1][1] = r
+        else:
+            runs.append([r, r])
+    if len(runs) > MOST_LITERALS:
+        runs = [[runs[0][0], runs[-1][1]]]
+    return " OR ".join(f"root BETWEEN {a} AND {b}" for a, b in runs)
+
+
 def draw(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int, int], policy: SamplingPolicy) -> int:
     """Read the objects of each stratum whose draw keys are below ``to`` and weren't read; returns how many."""
     attrs = q.attrs()
     goes = [s for s in strata if s.tile_id in to and any(s.theta[a] < to[s.tile_id] and not s.exact(a) for a in attrs)]
     if not goes:
         return 0
-    high = max(to[s.tile_id] for s in goes)
-    rows = index.objects.filter(F.col("rkey") < high) if index.prunes else index.objects
     # from the lowest key that some measure lacks; each measure then takes what it didn't have
-    low = [min((s.theta[a] for a in attrs if not s.exact(a)), default=KEY_SPACE) for s in goes]
-    own = {f"_own{i}": [KEY_SPACE if s.exact(a) else s.theta[a] for s in goes] for i, a in enumerate(attrs)}
-    cut = {"_low": low, "_high": [to[s.tile_id] for s in goes], "_full": [s.kind == "full" for s in goes], **own, **_window_columns(q.window, len(goes))}
+    own = {s.tile_id: tuple(KEY_SPACE if s.exact(a) else s.theta[a] for a in attrs) for s in goes}
     if policy.strata == "single":
-        roots = sorted({t.root for t, _ in index.leaves_overlapping(q.window)})
-        rows = rows.filter(F.col("root").isin(roots)).withColumns({"tile_id": F.lit(-1).cast("long"), **{k: F.lit(v[0]) for k, v in cut.items()}})
+        got = _draw_pooled(index, q, own[-1], to[-1])
     else:
-        rows = index.with_tile(rows, [index.tiles[s.tile_id] for s in goes], **cut)
-    rows = rows.filter((F.col("rkey") >= F.col("_low")) & (F.col("rkey") < F.col("_high")) & (F.col("_full") | F.expr(_INSIDE)))
-    high_moments = any(a.ci == "delta" for a in q.aggs)
-    columns = [c for i, a in enumerate(attrs) for c in moment_columns(a, (F.col("rkey") >= F.col(f"_own{i}")) if len(attrs) > 1 else None, high=high_moments)]
-    got = {r["tile_id"]: r.asDict() for r in rows.groupBy("tile_id").agg(F.count("*").alias("_n"), *columns).collect()}
+        got = {tile: r for (tile, _), r in read_tiles(index, q, [Ask(index.tiles[s.tile_id], s.kind == "full", own[s.tile_id], to[s.tile_id]) for s in goes]).items()}
     read = 0
     for s in goes:
         r = got.get(s.tile_id)
@@ -134,6 +196,87 @@ def draw(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int
     return read
 
 
+def _draw_pooled(index: TileIndex, q: ViewportQuery, own: tuple[int, ...], to: int) -> dict[int, dict]:
+    """The same for the whole window as one stratum."""
+    attrs = q.attrs()
+    rows = index.objects.filter(F.col("root").isin(sorted({t.root for t, _ in index.leaves_overlapping(q.window)}))).filter(q.window.condition())
+    rows = rows.filter((F.col("rkey") >= min(own)) & (F.col("rkey") < to))
+    high = any(a.ci == "delta" for a in q.aggs)
+    columns = [c for i, a in enumerate(attrs) for c in moment_columns(a, F.col("rkey") >= own[i], high=high)]
+    r = rows.agg(F.count("*").alias("_n"), *columns).first().asDict()
+    return {-1: r} if r["_n"] else {}
+
+
+def first_round(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy, whole: bool) -> tuple[list[Stratum], int, float]:
+    """Strata with a first sample, how many objects that read, and its rate: counting and reading in one job.
+
+    What is known of tiles, or of the tiles they came from, gives the variances by which
+    a rate is chosen that is likely to meet the bound; populations of border tiles are guessed from their
+    area until the job has counted them. A divided tile's parts are strata of their own
+    if each got a sample, else the tile's part of the window stays one.
+    """
+    attrs = q.attrs()
+    leaves = [(t, k) for t, k in index.leaves_overlapping(q.window, attrs if policy.reuse else ()) if t.n_objects]
+    strata, guesses = [], []
+    for t, kind in leaves:
+        share = 1.0
+        if kind == "partial":
+            b, w = t.bounds(index.domain), q.window
+            share = max(0.0, min(b.x2, w.x2) - max(b.x1, w.x1)) * max(0.0, min(b.y2, w.y2) - max(b.y1, w.y1)) / ((b.width or 1.0) * (b.height or 1.0))
+        s = Stratum(t.tile_id, kind, t.n_objects if kind == "full" else max(1, round(share * t.n_objects)))
+        for a in attrs:
+            known = index.stat(t.tile_id, a) if policy.reuse and kind == "full" else Stats()
+            s.theta[a], s.sample[a] = known.theta, known.moments
+        strata.append(s)
+        guesses.append({a: index.guess(t.tile_id, a) for a in attrs} if policy.reuse else {})
+    rate = 1.0 if whole else policy.rate0
+    if not whole and policy.reuse and attrs and all(g.get(a) for g in guesses for a in attrs):
+        known = [[(s.pop, s.moments(a).n, *g[a]) for s, g in zip(strata, guesses, strict=True)] for a in attrs]
+        rate = smallest_rate(known, q, policy.rate0 / 8, 0.9)
+    to = {s.tile_id: KEY_SPACE for s in strata if any(not s.exact(a) for a in attrs)} if whole else _targets(strata, attrs, rate, policy)
+    asks = []
+    for (t, kind), s in zip(leaves, strata, strict=True):
+        high = to.get(t.tile_id, 0)
+        own = tuple(KEY_SPACE if s.exact(a) and kind == "full" else s.theta[a] for a in attrs)
+        if kind == "partial":
+            asks.append(Ask(t, False, tuple(0 for _ in attrs), high or KEY_SPACE, True))
+        elif any(o < high for o in own):
+            asks.append(Ask(t, True, own, high))
+    got = read_tiles(index, q, asks)
+    limits = {a.tile.tile_id: a.to for a in asks}
+    out: list[Stratum] = []
+    for (t, kind), s in zip(leaves, strata, strict=True):
+        limit = limits.get(t.tile_id, 0)
+        parts = [got.get((t.tile_id, i)) for i in range(4)]
+        sample = lambda rows, a: reduce(Moments.merge, (moments_of(r, a) for r in rows if r), Moments())
+        if kind == "full":
+            for a in attrs:
+                if s.theta[a] < limit and not s.exact(a):
+                    s.sample[a], s.theta[a] = s.moments(a).merge(sample(parts, a)), limit
+            n = min((s.moments(a).n for a in attrs), default=s.pop)
+            s.case = 1 if n == s.pop else 2
+            out.append(s)
+            continue
+        counts = [(r["n"], r["w"]) if r else (0, 0) for r in parts]
+        inside = sum(w for _, w in counts)
+        pieces = []
+        if policy.reuse and should_split(index, t, kind, inside, rate, q.window):
+            for child, (n, w), r in zip(index.split(t, [n for n, _ in counts]), counts, parts, strict=True):
+                how = classify(child.bounds(index.domain), q.window)
+                one = Stratum(child.tile_id, how, w, 4, dict.fromkeys(attrs, limit), {a: sample([r], a) for a in attrs})
+                if how == "full" and n:
+                    for a in attrs:
+                        index.stats[child.tile_id, a] = Stats(KEY_SPACE if one.exact(a) else limit, one.sample[a])
+                if w:
+                    pieces.append(one)
+        if not inside:
+            continue
+        if not pieces or any(p.moments(a).n < min(2, p.pop) for p in pieces for a in attrs):
+            pieces = [Stratum(t.tile_id, "partial", inside, 3, dict.fromkeys(attrs, limit), {a: sample(parts, a) for a in attrs})]
+        out += pieces
+    return out, sum(r["_n"] for r in got.values()), rate
+
+
 def fixed_limits(index: TileIndex, q: ViewportQuery, strata: list[Stratum], to: dict[int, int]) -> dict[int, int]:
     """Key limits that give each stratum exactly its share of objects, rounded up, instead of about that many: one sort of the keys within tiles."""
     goes = [s for s in strata if s.tile_id in to and to[s.tile_id] < KEY_SPACE]
@@ -154,24 +297,24 @@ def next_rate(rate: float, eps: float, eps_max: float, cap: float = 2.0, min_ste
     return min(1.0, rate * min(cap, max(min_step, ratio)))
 
 
-def rate_for_bound(strata: list[Stratum], q: ViewportQuery, low: float) -> float:
-    """The smallest common rate, not below ``low``, at which the variances seen so far would meet the bound.
+def smallest_rate(known: list[list[tuple[float, int, float, float]]], q: ViewportQuery, low: float, margin: float = 0.97) -> float:
+    """The smallest common rate, not below ``low``, at which given variances would meet the bound.
 
-    Strata that have more than the rate keep what they have, and none can have more than
+    ``known`` has for each measure (population, sample so far, mean, variance) of every stratum. Strata
+    that have more than the rate keep what they have, and none can have more than
     all of its objects. The error of a sum and that of a mean are the same.
     """
     z = two_sided_z(q.gamma)
 
     def met(rate: float) -> bool:
-        for a in q.attrs():
+        for strata in known:
             total = var = 0.0
-            for s in strata:
-                m = s.moments(a)
-                total += s.pop * m.mean
-                n = min(float(s.pop), max(float(m.n), rate * s.pop))
-                if m.n < s.pop and n < s.pop:
-                    var += s.pop**2 * m.s2 / n * (1 - n / s.pop)
-            if z * math.sqrt(var) > 0.97 * q.eps_max * abs(total):
+            for pop, had, mean, s2 in strata:
+                total += pop * mean
+                n = min(float(pop), max(float(had), rate * pop))
+                if had < pop and n < pop:
+                    var += pop**2 * s2 / n * (1 - n / pop)
+            if z * math.sqrt(var) > margin * q.eps_max * abs(total):
                 return False
         return True
 
@@ -184,6 +327,10 @@ def rate_for_bound(strata: list[Stratum], q: ViewportQuery, low: float) -> float
     return high
 
 
+def rate_for_bound(strata: list[Stratum], q: ViewportQuery, low: float) -> float:
+    return smallest_rate([[(s.pop, s.moments(a).n, s.moments(a).mean, s.moments(a).s2) for s in strata] for a in q.attrs()], q, low)
+
+
 def _next(policy: SamplingPolicy, rate: float, eps: float, q: ViewportQuery, strata: list[Stratum]) -> float:
     """The common rate of the next round: from that of the strata which the last rate governed, not of those that earlier queries took further."""
     attrs = q.attrs()
@@ -221,8 +368,10 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
     """A result after every round, the last one final; the index keeps what it learned once the last was taken."""
     policy = policy or SamplingPolicy()
     began = time.time()
-    strata = plan_strata(index, q, policy)
     attrs = q.attrs()
+    whole = q.eps_max == 0 or any(a.fn in ("min", "max") for a in q.aggs)
+    ahead = policy.ahead and policy.strata == "tiles" and policy.draw == "threshold" and index.config.depth_per_query == 1 and index.config.split_scope == "partial"
+    strata, done, rate = first_round(index, q, policy, whole) if ahead else (plan_strata(index, q, policy), None, 1.0 if whole else policy.rate0)
     pop = sum(s.pop for s in strata)
     log: list[dict] = []
     io = 0
@@ -230,9 +379,7 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
     def result(answers: list[Answer]) -> QueryResult:
         return QueryResult(q, answers, pop, sum(min((s.moments(a).n for a in attrs), default=0) for s in strata), io, len(log), [*log], (time.time() - began) * 1000)
 
-    whole = q.eps_max == 0 or any(a.fn in ("min", "max") for a in q.aggs)
     open_ = [s for s in strata if any(not s.exact(a) for a in attrs)]
-    rate = 1.0 if whole else policy.rate0
     if whole:
         to = {s.tile_id: KEY_SPACE for s in open_}
     else:
@@ -242,7 +389,7 @@ def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPol
     while True:
         if policy.draw == "fixed_n" and policy.strata == "tiles":
             to = fixed_limits(index, q, strata, to)
-        read = draw(index, q, strata, to, policy)
+        read, done = draw(index, q, strata, to, policy) if done is None else done, None
         io += read
         # too few objects had keys low enough: reach further before judging
         thin = [s for s in strata if any(s.moments(a).n < min(2, s.pop) for a in attrs)]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import math
+import uuid
 from dataclasses import asdict, dataclass, field
 
 import pyarrow as pa
@@ -72,8 +73,11 @@ class TileIndex:
         self.tiles: dict[int, Tile] = {}
         self.roots: dict[int, int] = {}
         self.stats: dict[tuple[int, str], Stats] = {}
+        #: Mean and variance of the tile that a part came from: a guess for planning, never part of an answer.
+        self.hints: dict[tuple[int, str], tuple[float, float]] = {}
         self.version = 0
         self.init_ms = 0.0
+        self._view: str | None = None
 
     @property
     def spark(self) -> SparkSession:
@@ -126,6 +130,9 @@ class TileIndex:
         """Four equal parts with their object counts; what was known of the whole isn't known of them."""
         parts = [self.add(tile.depth + 1, tile.root, lo, hi, n, tile.tile_id) for (lo, hi), n in zip(tile.quarters(), counts, strict=True)]
         tile.is_leaf, tile.children = False, tuple(p.tile_id for p in parts)
+        for a in self.attrs():
+            if (guess := self.guess(tile.tile_id, a)) is not None:
+                self.hints.update({(p.tile_id, a): guess for p in parts})
         if not self.config.reuse_parent:
             for key in [k for k in self.stats if k[0] == tile.tile_id]:
                 del self.stats[key]
@@ -145,6 +152,21 @@ class TileIndex:
         near = (F.col("root") == F.col("_root")) & (F.col("zcode") >= F.col("_lo")) & (F.col("zcode") < F.col("_hi"))
         return rows.join(F.broadcast(local), near).drop("_root", "_lo", "_hi")
 
+    def view(self) -> str:
+        """The objects' name in SQL. It is never dropped: with its name Spark would drop what it holds of them in memory."""
+        if self._view is None:
+            self._view = f"_tileaqp_{uuid.uuid4().hex}"
+            self.objects.createOrReplaceTempView(self._view)
+        return self._view
+
+    def attrs(self) -> list[str]:
+        return [c for c in self.objects.columns if c not in ("ax", "ay", "root", "zcode", "rkey")]
+
+    def guess(self, tile: int, attr: str) -> tuple[float, float] | None:
+        """Mean and variance that a tile's objects may have: its own sample's, or that of the tile it came from."""
+        m = self.stat(tile, attr).moments
+        return (m.mean, m.s2) if m.n > 1 else self.hints.get((tile, attr))
+
     def stat(self, tile: int, attr: str) -> Stats:
         return self.stats.get((tile, attr), Stats())
 
@@ -153,16 +175,13 @@ class TileIndex:
         leaves = self.leaves()
         return {"tiles": len(self.tiles), "leaves": len(leaves), "stats": len(self.stats), "bitmap_bits": sum(t.n_objects for t in leaves) * len({a for _, a in self.stats}), "bytes": 96 * len(self.tiles) + 112 * len(self.stats)}
 
-    def bitmap(self, tile: Tile, attr: str) -> tuple[list[bool], int]:
-        """Which objects of a tile were read, in the order of their draw keys, and how many."""
-        rows = self.with_tile(self.objects, [tile]).select("rkey").orderBy("rkey")
-        theta = self.stat(tile.tile_id, attr).theta
-        bits = [r.rkey < theta for r in rows.toLocalIterator()]
-        return bits, sum(bits)
+    def bitmap(self, tile: Tile, attr: str) -> DataFrame:
+        """(bucket, bitmap, n_objects, n_read) of one tile: which of its objects, in the order of their draw keys, were read."""
+        return self.bitmap_frame(attr, [tile]).drop("tile_id")
 
-    def bitmap_frame(self, attr: str) -> DataFrame:
-        """(tile_id, bitmap, n_read, n_objects): the same for all leaves, as Spark bitmaps (positions count from one)."""
-        leaves = self.leaves()
+    def bitmap_frame(self, attr: str, leaves: list[Tile] | None = None) -> DataFrame:
+        """(tile_id, bucket, bitmap, n_objects, n_read): the same for all leaves, as Spark bitmaps (positions count from one)."""
+        leaves = self.leaves() if leaves is None else leaves
         cuts = self.spark.createDataFrame([(t.tile_id, self.stat(t.tile_id, attr).theta) for t in leaves], "tile_id long, theta long")
         w = F.row_number().over(Window.partitionBy("tile_id").orderBy("rkey"))
         rows = self.with_tile(self.objects, leaves).withColumn("pos", w.cast("long")).join(F.broadcast(cuts), "tile_id")

@@ -161,7 +161,8 @@ class SamplingPolicy:
     exhaust_below: int = 10
     strata: str = "tiles"  # or single, for the sample-only method
     reuse: bool = True
-    max_rounds: int = 64
+    max_rounds: int = 64  # then everything left is read: a bound that no sample meets still ends
+    ahead: bool = False  # border counts and the first draw in one job, at the rate that known variances suggest
 
     def __post_init__(self):
         if self.kind not in ("error_ratio", "fixed_step", "fpc_aware") or self.draw not in ("threshold", "fixed_n") or self.strata not in ("tiles", "single"):
