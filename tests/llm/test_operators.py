@@ -69,6 +69,13 @@ def test_a_hot_key_is_split_by_its_rows(spark):
     assert len(got) > 5 and max(r.n for r in got) <= 200
 
 
+def test_columns_named_like_the_result(spark):
+    rows = spark.createDataFrame([(i, f"text {i}", "x", 1, 2, "b", 9) for i in range(50)], "doc_id long, text string, shard string, n_bytes int, prefix int, _bits string, _bytes int")
+    got = sharding.assign(rows, limit=100)
+    assert got.columns == ["doc_id", "text", "prefix", "_bits", "_bytes", *("n_bytes", "shard", "shard_rows", "shard_bytes", "oversized", "shard_depth")]
+    assert got.count() == 50 and all(r.n_bytes == len(r.text) and r["_bits"] == "b" and r["_bytes"] == 9 and r.prefix == 2 for r in got.collect())
+
+
 def test_sharding_empty_and_files(empty, docs, spark, tmp_path):
     assert sharding.assign(empty).count() == 0
     sharding.write(docs, f"{tmp_path}/out", limit=5_000)
@@ -101,6 +108,40 @@ def test_repeats_against_brute_force(docs, length, gram, most, monkeypatch):
     assert sorted(map(tuple, got)) == want
 
 
+def test_bytes_decide_where_hashes_meet():
+    """All windows of eight bytes with weak hashes: only windows whose bytes are elsewhere are hits."""
+    rng = random.Random(8)
+    contexts = [bytes(rng.choice(b"ab") for _ in range(rng.randrange(8, 40))) for _ in range(12)]
+    at = [(k, i) for k, c in enumerate(contexts) for i in range(len(c) - 7)]
+    rng.shuffle(at)
+    which, start = (np.array(x) for x in zip(*at, strict=True))
+    seen = collections.Counter(contexts[k][i : i + 8] for k, i in at)
+    lone = np.array([k % 3 > 0 for k in range(12)])
+    for weak in (lambda b: zlib.crc32(b) % 7, lambda b: zlib.crc32(b)):
+        h = np.array([weak(contexts[k][i : i + 8]) for k, i in at], np.uint64)
+        got = suffix_dedup._equal_windows(contexts, which, start, h, lone, 8)
+        assert sorted(zip(*map(np.ndarray.tolist, got), strict=True)) == sorted((k, i) for k, i in at if lone[k] and seen[contexts[k][i : i + 8]] > 1)
+
+
+def test_repeats_in_a_given_table(spark):
+    """All documents of a given table against every 400-byte string of theirs."""
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = suffix_dedup.remove_repeats(rows).collect()
+    seen, texts = collections.Counter(), [(r.doc_id, (r.text or "").encode()) for r in rows.select("doc_id", "text").collect()]
+    for _, b in texts:
+        seen.update(hash(b[s : s + 400]) for s in range(len(b) - 399))
+    want = []
+    for i, b in texts:
+        gone = np.zeros(len(b) + 1, int)
+        for s in range(len(b) - 399):
+            if seen[hash(b[s : s + 400])] > 1:
+                gone[s] += 1
+                gone[s + 400] -= 1
+        gone = np.cumsum(gone)[: len(b)] > 0
+        want.append((i, len(b), int(gone.sum()), int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum()), hashlib.sha256(bytes(np.frombuffer(b, np.uint8)[~gone])).hexdigest()))
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 def test_long_texts_are_cut_in_pieces(spark, monkeypatch):
     rng = random.Random(3)
     a = "".join(rng.choice("abcd") for _ in range(3000))
@@ -536,6 +577,19 @@ def test_packing(docs, empty):
     assert packing.pack_documents(empty).count() == 0
 
 
+def test_later_rounds_of_packing_read_little(spark):
+    """Bins that nothing can join end at once; quality stays that of best fit in one place."""
+    rng = random.Random(6)
+    sizes = [600] * 4000 + [rng.randrange(1, 1024) for _ in range(3000)] + [100] * 40
+    items = spark.createDataFrame(list(enumerate(sizes)), "uid long, length long").repartition(32)
+    got = packing.pack(items).collect()
+    fill = collections.Counter()
+    for r in got:
+        fill[r.sequence_id] += sizes[r.uid]
+    assert len(got) == len(sizes) and max(fill.values()) <= 1024
+    assert len(fill) <= 1.02 * len(packing.best_fit(np.array(sizes), 1024)) and sum(2 * f <= 1024 for f in fill.values()) <= 1
+
+
 def test_other_vocabulary_gives_the_same_ids(docs):
     import public_tokenizers
 
@@ -576,12 +630,52 @@ def test_repeated_and_null_keys_of_fingerprints(spark, docs):
     assert fingerprints.fingerprints_and_edits(rows).count() == rows.count()
 
 
+def vote_of(text):
+    """The fingerprint by counting every bit's votes one by one."""
+    import xxhash
+
+    w = [x for x in (text or "").translate(str.maketrans("\n\t\r\x0b\x0c", "     ")).split(" ") if x]
+    votes, weight = [0] * 64, 0
+    for a, b in zip(w, [*w[1:], None], strict=True):
+        h = xxhash.xxh64_intdigest(a.encode(), 42)
+        h = h if b is None else xxhash.xxh64_intdigest(b.encode(), h)
+        n = len(a) + len(b or "")
+        weight += n
+        votes = [v + n * (h >> i & 1) for i, v in enumerate(votes)]
+    f = sum(1 << i for i, v in enumerate(votes) if 2 * v > weight)
+    return f - (1 << 64) if f >> 63 else f
+
+
+def test_votes_of_a_given_table(spark):
+    rows = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    got = {r.doc_id: r for r in fingerprints.fingerprints_and_edits(rows).collect()}
+    order = sorted(pairs(rows), reverse=True)
+    for k, (i, t) in enumerate(order):
+        nxt = order[(k + 1) % len(order)][1]
+        cut = len(t) // 3
+        edited = t[: len(t) - cut] + nxt[:cut]
+        assert got[i].fp == vote_of(t) and got[i].edited_fp == vote_of(edited)
+        assert got[i].near_edited == pytest.approx(1 - ((got[i].fp ^ got[i].edited_fp) & (1 << 64) - 1).bit_count() / 64)
+    named = rows.select(F.col("doc_id").cast("string").alias("doc_id"), "text")
+    assert {r.doc_id: r.fp for r in fingerprints.fingerprints_and_edits(named).collect()} == {str(i): r.fp for i, r in got.items()}
+
+
+def test_search_query_against_all_pairs(spark):
+    from tileaqp.llm import queries
+
+    folder = "/root/testdata/sf0.001"
+    docs_ = spark.read.parquet(f"{folder}/documents.parquet")
+    fps = {r.doc_id: vote_of(r.text) for r in docs_.collect()}
+    want = {(a, b) for i, a in fps.items() if i % 20 == 0 for b in fps.values() if ((a ^ b) & (1 << 64) - 1).bit_count() <= 3}
+    assert {(r.fp, r.other) for r in queries.fingerprint_neighbours(spark, folder).collect()} == want
+
+
 def test_block_tables_find_everything(spark):
     rng = random.Random(2)
     base = [rng.getrandbits(64) - (1 << 63) for _ in range(60)]
     fps = base + [b ^ sum(1 << x for x in rng.sample(range(63), rng.randrange(1, 6))) for b in base]
     frame = spark.createDataFrame([(f,) for f in fps], "fp long")
-    for radius in (0, 3, 5):
+    for radius in (0, 3, 5, 6):
         got = sorted(map(tuple, fingerprints.within(frame, frame, radius).collect()))
         want = sorted((a, b, d) for a in set(fps) for b in set(fps) if (d := ((a ^ b) & (1 << 64) - 1).bit_count()) <= radius)
         assert got == want
@@ -607,8 +701,8 @@ def test_best_branches_of_reply_trees(spark):
     assert got[1, 1] == ["q", "good", "more", "end"] and got[1, 2] == ["q", "good", "other"]
     assert sorted([got[2, 1], got[2, 2]]) == [[""], ["orphan"]]
     assert chat.conversations(tree.filter("tree = 0")).count() == 0
-    with pytest.raises(ValueError, match="cycle"):
-        chat.paths(spark.createDataFrame([(1, 1, 2, 0.0), (1, 2, 1, 0.0)], "tree long, node long, parent long, score double")).count()
+    cycle = spark.createDataFrame([(1, 1, 2, 0.0), (1, 2, 1, 0.0), (1, 3, 1, 0.0), (2, 1, None, 0.0), (2, 2, 1, 0.0)], "tree long, node long, parent long, score double")
+    assert {(r.tree, r.node) for r in chat.paths(cycle).collect()} == {(2, 1), (2, 2)}
 
 
 def test_long_and_null_conversations(spark):

@@ -13,8 +13,8 @@ takes one backslash away again. The mask lists the character ranges of the
 trained role's texts.
 
 Null texts and roles are empty. Texts of any length stay whole. A message whose parent
-is null or unknown is a root; messages on a cycle have no root and are reported by an
-error. Linear tables get parents in the order of turn, role and text, so ties and repeated
+is null or unknown is a root; messages on a cycle, and replies to them, have no root
+and are on no path. One conversation is one row of the result, gathered in one task. Linear tables get parents in the order of turn, role and text, so ties and repeated
 rows follow one another. A null conversation is one conversation. Other columns
 don't matter; an empty table gives an empty result.
 """
@@ -91,8 +91,8 @@ def paths(tree: DataFrame, best: int = 1) -> DataFrame:
     final, jumps = [state.filter("far is null")], []
     onward = state.filter("far is not null")
     while not onward.isEmpty():
-        if 1 << len(jumps) > 2 * nodes:
-            raise ValueError("replies form a cycle")
+        if 1 << len(jumps) > 2 * nodes:  # a path is no longer than that: what is left leads into a cycle
+            break
         jumps.append(onward.select("tree", "node", "far"))
         every = onward
         for done in final:

@@ -8,7 +8,8 @@ ends at a space, and its words are mapped back to character offsets of the origi
 Null texts and texts without words have no hit. Items that are null or without words
 have no window; repeated items count by their distinct ids. Texts of any length are
 scanned whole; repeated rows are judged each for itself; an empty benchmark hits
-nothing and an empty table gives an empty result. The items are gathered only while
+nothing and an empty table gives an empty result. Other columns stay, but for those
+named as one of the result (n_words, n_hit, items, spans). The items are gathered only while
 their texts stay below ``MOST_BYTES``; beyond that the rows are scanned once for each
 part of the benchmark that does.
 """

@@ -5,11 +5,14 @@ length in characters, plus or minus, on the 64 bits of its hash. Two bits are su
 in one 64-bit number, so 32 sums give all votes. A bit is set if the votes for it have
 more than half of the weight; no vote at all gives zero.
 
-Search cuts fingerprints into ``radius + 1`` blocks: two that differ in at most ``radius``
-bits agree in one of them. Each table files all fingerprints under one block.
+Search cuts fingerprints into ``radius + AGREE`` blocks: two that differ in at most
+``radius`` bits agree in at least ``AGREE`` of them. There is a table for every choice of so many
+blocks, filing each distinct fingerprint under these blocks' bits (about 32 for a radius of
+3), so that unequal fingerprints seldom meet by chance.
 
 Null texts are empty. Texts count whole. Equal texts have equal fingerprints, repeated
-rows each their own row. Rows with a null key come last in descending order; rows with
+rows each their own row. Keys are whole numbers, or strings that hold them (others
+count as null); the result has them as given. Rows with a null key come last in descending order; rows with
 the same key are ordered by a hash of the text. Other columns don't matter. A single
 row is its own next document; an empty table gives an empty result. Only DataFrame
 expressions are used.
@@ -17,11 +20,15 @@ expressions are used.
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..runtime import durable
 
 PAIR_MASK = (1 << 32) | 1
+#: Blocks that two fingerprints must agree in to meet.
+AGREE = 3
 
 
 def _terms(body: Column) -> Column:
@@ -60,9 +67,9 @@ def _bucket(key: Column, bounds: list[int]) -> Column:
 
 
 def with_next(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(bucket, place, key, body, next_body, next_bucket, next_place): every row and the one after it by descending key."""
+    """(bucket, place, key, named, body, next_body, next_bucket, next_place): every row and the one after it by descending key."""
     spark = docs.sparkSession
-    rows = docs.select(F.col(f"`{key}`").cast("long").alias("key"), F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")).alias("body"))
+    rows = docs.select(F.expr(f"try_cast(`{key}` AS long)").alias("key"), F.col(f"`{key}`").alias("named"), F.coalesce(F.col(f"`{text}`").cast("string"), F.lit("")).alias("body"))
     n = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     got = rows.agg(F.percentile_approx("key", [i / n for i in range(1, n)], 20 * n)).first()[0]  # as many numbers as buckets
     rows = rows.withColumn("bucket", _bucket(F.col("key"), sorted(set(got or []))))
@@ -74,11 +81,11 @@ def with_next(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataF
     firsts = rows.select("key", "body").join(F.broadcast(after), F.col("key").eqNullSafe(F.col("top")))
     firsts = firsts.groupBy(F.col("bucket").alias("b"), "next_bucket").agg(F.min_by("body", F.struct(F.xxhash64("body"), "body")).alias("first_body"))
     w = Window.partitionBy("bucket").orderBy(*order)
-    placed = rows.select("bucket", "key", "body", F.row_number().over(w).alias("place"), F.lead("body").over(w).alias("lead"))
+    placed = rows.select("bucket", "key", "named", "body", F.row_number().over(w).alias("place"), F.lead("body").over(w).alias("lead"))
     joined = placed.join(durable(firsts, "firsts").hint("merge"), F.col("bucket") == F.col("b"))
     last = F.col("lead").isNull()
     return joined.select(
-        "bucket", "place", "key", "body", F.coalesce("lead", "first_body").alias("next_body"),
+        "bucket", "place", "key", "named", "body", F.coalesce("lead", "first_body").alias("next_body"),
         F.when(last, F.col("next_bucket")).otherwise(F.col("bucket")).alias("next_bucket"), F.when(last, 1).otherwise(F.col("place") + 1).alias("next_place"),
     )
 
@@ -89,7 +96,7 @@ def fingerprints_and_edits(docs: DataFrame, key: str = "doc_id", text: str = "te
     n = F.length("body")
     third = F.floor(n / 3).cast("int")
     rows = rows.withColumn("edited", F.concat(F.col("body").substr(F.lit(1), n - third), F.col("next_body").substr(F.lit(1), third)))
-    facts = rows.select("bucket", "place", "key", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), "next_bucket", "next_place")
+    facts = rows.select("bucket", "place", "named", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), "next_bucket", "next_place")
     both = rows.select("bucket", "place", F.posexplode(F.array("body", "edited")).alias("kind", "words"))
     prints = fingerprints(both, ["bucket", "place", "kind"], "words")
     prints = durable(prints.groupBy("bucket", "place").agg(F.max(F.when(F.col("kind") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("kind") == 1, F.col("fp"))).alias("edited_fp")), "prints")
@@ -98,24 +105,29 @@ def fingerprints_and_edits(docs: DataFrame, key: str = "doc_id", text: str = "te
     out = facts.join(prints, ["bucket", "place"], "left")
     following = prints.select(F.col("bucket").alias("next_bucket"), F.col("place").alias("next_place"), F.col("fp").alias("next_fp"))
     out = out.join(following, ["next_bucket", "next_place"], "left").withColumns({c: zero(F.col(c)) for c in ("fp", "edited_fp", "next_fp")})
-    return out.select(F.col("key").alias(key), "n_chars", "edited_sha256", "fp", "edited_fp", likeness("fp", "edited_fp").alias("near_edited"), likeness("fp", "next_fp").alias("near_next"))
+    return out.select(F.col("named").alias(key), "n_chars", "edited_sha256", "fp", "edited_fp", likeness("fp", "edited_fp").alias("near_edited"), likeness("fp", "next_fp").alias("near_next"))
 
 
 def within(queries: DataFrame, table: DataFrame, radius: int = 3) -> DataFrame:
     """(fp, other, distance): all distinct fingerprints of ``table`` at most ``radius`` bits from those of ``queries``."""
-    if not 0 <= radius <= 15:
-        raise ValueError("a radius from 0 to 15")
-    cuts = [64 * i // (radius + 1) for i in range(radius + 2)]
+    if not 0 <= radius <= 6:
+        raise ValueError("a radius from 0 to 6")
+    n = radius + AGREE
+    cuts = [64 * i // n for i in range(n + 1)]
+    masks = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in zip(cuts, cuts[1:], strict=False)]
+    signed = lambda m: m - (1 << 64) if m >> 63 else m
+    chosen = list(combinations(range(n), AGREE))
+    permuted = [signed(sum(masks[i] for i in c)) for c in chosen]
 
     def filed(df: DataFrame, name: str) -> DataFrame:
         fp = F.col("fp")
-        blocks = [F.struct(F.lit(i).alias("t"), F.shiftrightunsigned(fp, a).bitwiseAND(F.lit((1 << (b - a)) - 1 if b - a < 64 else -1)).alias("v")) for i, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False))]
-        return df.select("fp").distinct().select(fp.alias(name), F.inline(F.array(*blocks)))
+        entries = [F.struct(F.lit(t).alias("t"), fp.bitwiseAND(F.lit(m)).alias("v")) for t, m in enumerate(permuted)]
+        return df.select("fp").distinct().select(fp.alias(name), F.inline(F.array(*entries)))
 
     pairs = filed(queries, "fp").join(filed(table, "other"), ["t", "v"])
     x = F.col("fp").bitwiseXOR(F.col("other"))
-    # a pair that agrees in several blocks is kept by the first one alone
-    earlier = F.lit(False)
-    for i, (a, b) in enumerate(zip(cuts[:-2], cuts[1:-1], strict=False)):
-        earlier = earlier | ((F.col("t") > i) & (x.bitwiseAND(F.lit(((1 << b) - (1 << a)) if b < 63 else -1)) == 0))
-    return pairs.filter((F.bit_count(x) <= radius) & ~earlier).select("fp", "other", F.bit_count(x).alias("distance"))
+    # a pair that meets in several tables is kept by the first of them: that of the first blocks that agree
+    agrees = F.array(*(F.when(x.bitwiseAND(F.lit(signed(m))) == 0, i) for i, m in enumerate(masks)))
+    first = F.slice(F.array_compact(agrees), 1, AGREE)
+    own = F.array(*(F.array(*map(F.lit, c)) for c in chosen))[F.col("t")]
+    return pairs.filter((F.bit_count(x) <= radius) & (first == own)).select("fp", "other", F.bit_count(x).alias("distance"))

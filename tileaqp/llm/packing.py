@@ -5,7 +5,11 @@ sequence is cut into full pieces, the shorter piece first. Full pieces are seque
 already. The others are packed within their partition, the longest first, each into
 the fullest bin that takes it. Bins filled to ``full`` tokens or more are done; the
 rest go on as items of the next round, on an ``fan``-th of the partitions, until one
-partition has packed the last ones. A bin carries its pieces, so no join is needed.
+partition has packed the last ones. Best fit leaves at most one bin in a partition that is at most
+half full, and fuller ones can't join one another: so of these only ``fan`` of
+each fill go on, as many as the small ones of the next round could need. What a
+later round's task reads is thus bounded by ``fan`` and the length, whatever the
+table's size. A bin carries its pieces, so no join is needed.
 
 Null texts are empty and give the end id alone. Texts of any length are packed whole.
 Repeated rows are packed each. Columns besides the key and the text are not looked
@@ -122,7 +126,7 @@ def pack(items: DataFrame, length: int = LENGTH, full: int = FULL, fan: int = FA
     spark = items.sparkSession
     ship(spark)
     whole = items.filter(F.col("length") >= full).select("uid", F.col("uid").alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
-    kind = "fill long, uids array<long>, sizes array<int>"
+    kind = "fill long, uids array<long>, sizes array<int>, open boolean"
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         got = [b for b in batches if b.num_rows]
@@ -141,17 +145,23 @@ def pack(items: DataFrame, length: int = LENGTH, full: int = FULL, fan: int = FA
             return pa.ListArray.from_arrays(pa.array(taken.offsets.to_numpy()[ends], pa.int32()), taken.values)
 
         fills = np.add.reduceat(table["fill"].to_numpy()[order.to_numpy()], np.cumsum([0, *map(len, bins[:-1])]))
-        out = pa.Table.from_arrays([pa.array(fills), joined(uids), joined(sizes)], names=["fill", "uids", "sizes"])
+        # of bins alike that are over half full the first ``fan`` may still take something
+        by = np.argsort(fills, kind="stable")
+        new = np.concatenate([[True], fills[by][1:] != fills[by][:-1]])
+        nth = np.empty(len(fills), np.int64)
+        nth[by] = np.arange(len(fills)) - np.flatnonzero(new)[np.cumsum(new) - 1]
+        open_ = (fills < full) & ((2 * fills <= length) | (nth < fan))
+        out = pa.Table.from_arrays([pa.array(fills), joined(uids), joined(sizes), pa.array(open_)], names=["fill", "uids", "sizes", "open"])
         yield from out.to_batches(max_chunksize=8192)
 
-    left = items.filter(F.col("length") < full).select(F.col("length").alias("fill"), F.array("uid").alias("uids"), F.array(F.col("length").cast("int")).alias("sizes"))
+    left = items.filter(F.col("length") < full).select(F.col("length").alias("fill"), F.array("uid").alias("uids"), F.array(F.col("length").cast("int")).alias("sizes"), F.lit(True).alias("open"))
     parts = max(1, left.rdd.getNumPartitions())
     left = durable(left.mapInArrow(packed, kind), "bins")
     done = []
     while parts > 1:
-        done.append(left.filter(F.col("fill") >= full))
+        done.append(left.filter(~F.col("open")))
         parts = -(-parts // fan)
-        left = durable(left.filter(F.col("fill") < full).repartition(parts, F.xxhash64(F.col("uids")[0])).mapInArrow(packed, kind), "bins")
+        left = durable(left.filter("open").repartition(parts, F.xxhash64(F.col("uids")[0])).mapInArrow(packed, kind), "bins")
     for d in done:
         left = left.unionByName(d)
     sums = F.transform(F.sequence(F.lit(0), F.size("sizes") - 1), lambda i: F.aggregate(F.slice("sizes", 1, i), F.lit(0).cast("long"), lambda a, x: a + x))

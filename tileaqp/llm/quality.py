@@ -6,7 +6,7 @@ the text. Texts are scored whole, in Arrow batches cut to bounded bytes.
 
 Null and empty texts have no feature and get the score of the bias alone. A text of
 any length counts whole. Repeated rows are scored each for itself; columns besides
-the key and the text stay unless ``keep`` names others. An empty table gives an empty result, and
+the key and the text stay unless ``keep`` names others. A column named like the score is replaced. An empty table gives an empty result, and
 a training set without rows gives the score 0.5 to every text.
 """
 

@@ -10,7 +10,8 @@ are counted again with longer prefixes.
 A null text has no bytes; a null key hashes like any value. Repeated rows that are
 alike in all columns can't be told apart: they share a shard even over the limit, as
 does a single row that is larger; such a shard is marked oversized. Other columns
-don't matter for keys, but are part of the second digest. An empty table gives an
+don't matter for keys, but are part of the second digest; columns that have the name
+of one of the result (``FRESH``) are left out of it. An empty table gives an
 empty result. Only DataFrame expressions are used.
 """
 
@@ -27,6 +28,9 @@ STEP = 8
 #: Bits of the key's digest, and of the row's digest after it.
 KEY_BITS, ROW_BITS = 62, 60
 
+#: The columns that the result adds.
+FRESH = ("shard", "n_bytes", "shard_rows", "shard_bytes", "oversized", "shard_depth")
+
 
 def _digest_bits(value: Column, bits: int) -> Column:
     """The first bits of an MD5 digest, as '0' and '1'."""
@@ -35,11 +39,14 @@ def _digest_bits(value: Column, bits: int) -> Column:
     return F.concat(half(1), half(9)).substr(F.lit(1), F.lit(bits))
 
 
-def with_hash(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows with ``_bits`` (the hash as a string of bits) and ``_bytes``."""
+def with_hash(docs: DataFrame, key: str = "doc_id", text: str = "text", keep: list[str] | None = None) -> DataFrame:
+    """(_row, _bits, _bytes): a row's columns in one struct, where no name can clash, its hash as a string of bits, and its size."""
     name = F.coalesce(F.col(f"`{key}`").cast("string"), F.lit("null"))
     row = F.to_json(F.struct(*(F.col(f"`{c}`") for c in docs.columns)))
-    return docs.withColumn("_bits", F.concat(_digest_bits(name.cast("binary"), KEY_BITS), _digest_bits(row.cast("binary"), ROW_BITS))).withColumn("_bytes", F.coalesce(F.octet_length(F.col(f"`{text}`").cast("string")), F.lit(0)).cast("long"))
+    bits = F.concat(_digest_bits(name.cast("binary"), KEY_BITS), _digest_bits(row.cast("binary"), ROW_BITS))
+    size = F.coalesce(F.octet_length(F.col(f"`{text}`").cast("string")), F.lit(0)).cast("long")
+    own = F.struct(*(F.col(f"`{c}`") for c in (docs.columns if keep is None else keep)))
+    return docs.select(own.alias("_row"), bits.alias("_bits"), size.alias("_bytes"))
 
 
 def directory(rows: DataFrame, limit: int = LIMIT, step: int = STEP) -> DataFrame:
@@ -73,16 +80,16 @@ def directory(rows: DataFrame, limit: int = LIMIT, step: int = STEP) -> DataFram
 
 def assign(docs: DataFrame, key: str = "doc_id", text: str = "text", limit: int = LIMIT, step: int = STEP, keep: list[str] | None = None) -> DataFrame:
     """The rows (or their columns in ``keep``) with shard (the prefix), shard_depth, and what the shard holds."""
-    keep = docs.columns if keep is None else keep
-    hashed = with_hash(docs, key, text).select(*(F.col(f"`{c}`") for c in keep), "_bits", "_bytes")
+    keep = [c for c in (docs.columns if keep is None else keep) if c not in FRESH]
+    hashed = with_hash(docs, key, text, keep)
     rows = durable(hashed.select("_bits", "_bytes"), "hashes") if set(keep) != {key} else (hashed := durable(hashed, "hashes"))
     leaves = directory(rows, limit, step)
     depths = [r.d for r in leaves.select(F.length("prefix").alias("d")).distinct().collect()]  # at most one number per bit
     prefixes = F.array(*(F.substring("_bits", 1, d) if d else F.lit("") for d in sorted(depths)))
     # leaves exclude one another, so exactly one of a row's prefixes is there
-    tried = hashed.select(*(F.col(f"`{c}`") for c in keep), F.col("_bytes").alias("n_bytes"), F.explode(prefixes).alias("prefix"))
+    tried = hashed.select("_row", F.col("_bytes").alias("n_bytes"), F.explode(prefixes).alias("prefix"))
     named = leaves.select("prefix", F.col("n_rows").alias("shard_rows"), F.col("n_bytes").alias("shard_bytes"), "oversized")
-    return tried.join(named, "prefix").withColumnRenamed("prefix", "shard").withColumn("shard_depth", F.length("shard"))
+    return tried.join(named, "prefix").select(*(F.col("_row")[c].alias(c) for c in keep), "n_bytes", F.col("prefix").alias("shard"), "shard_rows", "shard_bytes", "oversized", F.length("prefix").alias("shard_depth"))
 
 
 def write(docs: DataFrame, path: str, key: str = "doc_id", text: str = "text", limit: int = LIMIT) -> None:

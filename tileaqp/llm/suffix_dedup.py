@@ -11,7 +11,7 @@ An anchor has two names: that of its own string, and that of its whole context,
 bytes of windows that may hold it. Anchors whose string is nowhere else are dropped.
 Those that share their context with another have all windows repeated. For the others the
 contexts of equal strings are brought together, one for each name, and their windows
-are compared with each other; if too many contexts share a string, their windows are
+are compared with each other, found by hashes and decided by bytes; if too many contexts share a string, their windows are
 counted one by one instead. The repeated windows of a text are merged and cut out.
 
 Texts are told apart by a 128-bit digest, so copies are looked at once. Null texts
@@ -159,6 +159,35 @@ def _windows(contexts: list[bytes], before: np.ndarray, group: np.ndarray, lengt
         yield which, start, H.mix(span(at, at + length) ^ name)
 
 
+def _equal_windows(contexts: list[bytes], which: np.ndarray, start: np.ndarray, h: np.ndarray, lone: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Windows of contexts marked ``lone`` whose bytes are those of another window: hashes find them, bytes decide.
+
+    A window is compared with the first of its hash, and that one with the second. Windows that follow one
+    another in both contexts are compared as one stretch.
+    """
+    _, first, back, count = np.unique(h, return_index=True, return_inverse=True, return_counts=True)
+    order = np.argsort(back, kind="stable")
+    second = order[np.minimum(np.cumsum(count) - count + 1, len(order) - 1)]
+    i = np.flatnonzero((count[back] > 1) & lone[which])
+    other = np.where(first[back[i]] == i, second[back[i]], first[back[i]])
+    i, other = (x[np.lexsort((start[i], which[i]))] for x in (i, other))
+    follows = (np.diff(which[i]) == 0) & (np.diff(start[i]) == 1) & (np.diff(which[other]) == 0) & (np.diff(start[other]) == 1)
+    ends = np.flatnonzero(np.concatenate([~follows, [True]])) if len(i) else np.zeros(0, np.int64)
+    good, a = np.zeros(len(i), bool), 0
+    for z in ends.tolist():
+        c, d, m, n = contexts[which[i[a]]], contexts[which[other[a]]], int(start[i[a]]), int(start[other[a]])
+        size = z - a + length
+        if c[m : m + size] == d[n : n + size]:
+            good[a : z + 1] = True
+        else:  # hashes of unequal windows met: every window against all of its hash
+            for k in range(a, z + 1):
+                text = c[m + k - a : m + k - a + length]
+                same = np.flatnonzero(back == back[i[k]])
+                good[k] = sum(contexts[which[j]][start[j] : start[j] + length] == text for j in same.tolist()) > 1
+        a = z + 1
+    return which[i[good]], start[i[good]]
+
+
 def _runs(which: np.ndarray, start: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Windows (sorted by context and start) as covered stretches: context, from, to."""
     if not len(which):
@@ -214,10 +243,9 @@ def stretches(docs: DataFrame, scanned: DataFrame, text: str, length: int, gram:
                 pos = part.field("pos").to_numpy(zero_copy_only=False)
                 lone = part.field("n").to_numpy(zero_copy_only=False) == 1
                 hits: list[tuple[np.ndarray, np.ndarray]] = []
-                for which, start, h in _windows(part.field("context").to_pylist(), np.minimum(pos, reach), group, length, reach, MOST_WINDOWS):
-                    _, back, count = np.unique(h, return_inverse=True, return_counts=True)
-                    hit = (count[back] > 1) & lone[which]
-                    hits.append((which[hit], start[hit]))
+                held = part.field("context").to_pylist()
+                for which, start, h in _windows(held, np.minimum(pos, reach), group, length, reach, MOST_WINDOWS):
+                    hits.append(_equal_windows(held, which, start, h, lone, length))
                 which, start = (np.concatenate(c) for c in zip(*hits, strict=True))
                 order = np.lexsort((start, which))
                 at, a, z = _runs(which[order], start[order], length)

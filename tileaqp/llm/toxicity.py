@@ -9,7 +9,7 @@ text looks at those alone, after one gather for each character and order.
 
 Null and empty texts have no feature and get the score of the bias. Texts of any
 length count whole. Repeated rows are scored each for itself, other columns stay
-unless ``keep`` names some. An empty table gives an empty result; without training rows every score is
+unless ``keep`` names some. A column named like the score is replaced. An empty table gives an empty result; without training rows every score is
 0.5.
 """
 
