@@ -78,6 +78,7 @@ class TileIndex:
         self.version = 0
         self.init_ms = 0.0
         self._view: str | None = None
+        self._files: bool | None = None
 
     @property
     def spark(self) -> SparkSession:
@@ -85,9 +86,18 @@ class TileIndex:
 
     @property
     def prunes(self) -> bool:
-        """Whether plans name cells and keys as literals, for files to be pruned. Objects in memory gain little by that, and plans without it are compiled once for all queries."""
-        level = self.objects.storageLevel
-        return not (level.useMemory or level.useDisk)
+        """Whether the objects are files with cells and keys as columns, so that literals prune them.
+
+        Cells computed from axes prune nothing, and objects in memory gain little; plans without literals are compiled once for all queries.
+        """
+        if self._files is None:
+            level = self.objects.storageLevel
+            plan = self.objects._jdf.queryExecution().analyzed()
+            while plan.nodeName() == "SubqueryAlias":
+                plan = plan.children().head()
+            self._files = plan.nodeName() in ("LogicalRelation", "DataSourceV2Relation") or str(plan).startswith("Relation ")
+            self._files = self._files and not (level.useMemory or level.useDisk)
+        return self._files
 
     def add(self, depth: int, root: int, zlo: int, zhi: int, n: int, parent: int | None = None) -> Tile:
         t = Tile(len(self.tiles), parent, depth, root, zlo, zhi, n)
