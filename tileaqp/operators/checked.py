@@ -136,7 +136,8 @@ def _bounds(space: Space, steps: int) -> tuple[ViewportQuery, ...]:
 
 #: The experiments: a hundred queries along a path where one path is the experiment, fewer where several are compared.
 WORKLOADS = {
-    "w01_uniform_path": Workload(UNIFORM, _path(UNIFORM, 100, 0.01)),
+    "w01_uniform_path": Workload(UNIFORM, _path(UNIFORM, 100, 0.01), ("ATI",)),
+    "w01_uniform_path_baselines": Workload(UNIFORM, _path(UNIFORM, 25, 0.01), ("ETI", "STI")),
     "w02_wide_rows": Workload(WIDE, _path(WIDE, 20, 0.01)),
     "w03_dense_spot": Workload(DENSE, _path(DENSE, 20, 0.05)),
     "w04_low_variance": Workload(LOW, _bounds(LOW, 10)),
