@@ -234,6 +234,10 @@ def first_round(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy, whol
         known = [[(s.pop, s.moments(a).n, *g[a]) for s, g in zip(strata, guesses, strict=True)] for a in attrs]
         rate = smallest_rate(known, q, policy.rate0 / 8, 0.9)
     to = {s.tile_id: KEY_SPACE for s in strata if any(not s.exact(a) for a in attrs)} if whole else _targets(strata, attrs, rate, policy)
+    if not whole:  # a stratum without two objects would cost another round: aim at nine, so that few miss
+        for s in strata:
+            if s.tile_id in to and min(s.moments(a).n for a in attrs) < 2:
+                to[s.tile_id] = max(to[s.tile_id], int(min(1.0, 9 / s.pop) * KEY_SPACE))
     asks = []
     for (t, kind), s in zip(leaves, strata, strict=True):
         high = to.get(t.tile_id, 0)
