@@ -1,4 +1,4 @@
 """All registered queries of the engine."""
 
-from . import checked, methods, relational, workloads  # noqa: F401
+from . import checked, methods, relational, variants, workloads  # noqa: F401
 from .registry import QUERIES, SQL  # noqa: F401

@@ -21,16 +21,24 @@ from .model import KEY_SPACE, Answer, QueryResult, SamplingPolicy, Viewport, Vie
 def should_split(index: TileIndex, tile: Tile, kind: str, in_window: int, rate: float, window: Viewport) -> bool:
     """Enough objects, some of them in the window, levels left, and a gain."""
     c = index.config
-    if not c.adapt or not tile.is_leaf or tile.n_objects <= c.split_min or not in_window or tile.depth >= c.max_depth:
+    if not c.adapt or not tile.is_leaf or tile.n_objects <= c.split_min or not in_window or tile.depth + c.split_levels > c.max_depth:
         return False
     if c.split_scope == "partial" and kind != "partial":
         return False
     if c.gain == "count_threshold":
         return True
     # expected reuse: reads that the parts inside the window will save a next window that overlaps by nine tenths
-    quarter = tile.n_objects / 4
-    parts = sum(classify(Tile(-1, None, tile.depth + 1, tile.root, lo, hi, 0).bounds(index.domain), window) == "full" for lo, hi in tile.quarters())
-    return 0.9 * rate * quarter * parts > c.gain_min
+    each = tile.n_objects / c.fan_out
+    parts = sum(classify(Tile(-1, None, tile.depth + c.split_levels, tile.root, lo, hi, 0).bounds(index.domain), window) == "full" for lo, hi in tile.parts(c.fan_out))
+    return 0.9 * rate * each * parts > c.gain_min
+
+
+def _part_codes(index: TileIndex, tile: Tile, below: bool) -> tuple[int, int]:
+    """Shift and mask that give the part of a tile in which a path code lies; one part where it can't be divided."""
+    levels = index.config.split_levels
+    if not below or tile.depth + levels > CELL_BITS // 2:
+        return max(0, CELL_BITS - 2 * tile.depth - 2), 0
+    return CELL_BITS - 2 * (tile.depth + levels), index.config.fan_out - 1
 
 
 _INSIDE = "ax >= _x1 AND ax <= _x2 AND ay >= _y1 AND ay <= _y2"
@@ -42,15 +50,14 @@ def _window_columns(w: Viewport, n: int) -> dict[str, list[float]]:
 
 
 def count_regions(index: TileIndex, tiles: list[Tile], window: Viewport, below: bool) -> dict[int, list[tuple[int, int]]]:
-    """For each tile the objects of its quarters (or of the whole, in the first place): all of them, and those in the window. Axes only."""
+    """For each tile the objects of its parts (or of the whole, in the first place): all of them, and those in the window. Axes only."""
     if not tiles:
         return {}
-    shift = [max(0, CELL_BITS - 2 * t.depth - 2) for t in tiles]
-    mask = [3 if below and t.depth < CELL_BITS // 2 else 0 for t in tiles]
-    rows = index.with_tile(index.objects.select("ax", "ay", "root", "zcode"), tiles, _shift=pa.array(shift, pa.int32()), _mask=mask, **_window_columns(window, len(tiles)))
+    shift, mask = zip(*(_part_codes(index, t, below) for t in tiles), strict=True)
+    rows = index.with_tile(index.objects.select("ax", "ay", "root", "zcode"), tiles, _shift=pa.array(shift, pa.int32()), _mask=list(mask), **_window_columns(window, len(tiles)))
     part = F.expr("cast(shiftright(zcode, _shift) & _mask as int)").alias("part")
-    rows = rows.groupBy("tile_id", part).agg(F.count("*").alias("n"), F.count(F.when(F.expr(_INSIDE), 1)).alias("w")).collect()  # four rows a tile at most
-    out = {t.tile_id: [(0, 0)] * 4 for t in tiles}
+    rows = rows.groupBy("tile_id", part).agg(F.count("*").alias("n"), F.count(F.when(F.expr(_INSIDE), 1)).alias("w")).collect()  # a row per part
+    out = {t.tile_id: [(0, 0)] * index.config.fan_out for t in tiles}
     for r in rows:
         out[r.tile_id][r.part] = (r.n, r.w)
     return out
@@ -87,6 +94,8 @@ def plan_strata(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy) -> l
             else:
                 nxt.append((t, k))
         todo = nxt
+    if policy.reuse:
+        index.inherit()
     for t, kind in todo:
         pop = t.n_objects if kind == "full" else known[t.tile_id]
         if not pop:
@@ -122,7 +131,7 @@ class Ask:
 
 
 def read_tiles(index: TileIndex, q: ViewportQuery, asks: list[Ask]) -> dict[tuple[int, int], dict]:
-    """By tile and quarter (quarters only where counts are asked): objects, objects in the window, objects read, moments.
+    """By tile and part (parts only where counts are asked): objects, objects in the window, objects read, moments.
 
     One job whose text is the same for all queries of the same measures, so that it is
     compiled once; tiles, window and limits are a small broadcast table. Where the
@@ -131,11 +140,10 @@ def read_tiles(index: TileIndex, q: ViewportQuery, asks: list[Ask]) -> dict[tupl
     if not asks:
         return {}
     attrs, w = q.attrs(), q.window
-    shift = [max(0, CELL_BITS - 2 * a.tile.depth - 2) for a in asks]
-    mask = [3 if a.count and a.tile.depth < CELL_BITS // 2 else 0 for a in asks]
+    shift, mask = zip(*(_part_codes(index, a.tile, a.count) for a in asks), strict=True)
     table = {
         "_root": pa.array([a.tile.root for a in asks], pa.int32()), "_lo": [a.tile.zlo for a in asks], "_hi": [a.tile.zhi for a in asks], "tile_id": pa.array([a.tile.tile_id for a in asks], pa.int64()),
-        "_shift": pa.array(shift, pa.int32()), "_mask": mask, "_full": [a.full for a in asks], "_count": [a.count for a in asks], "_low": pa.array([min(a.own, default=KEY_SPACE) for a in asks], pa.int64()), "_high": pa.array([a.to for a in asks], pa.int64()),
+        "_shift": pa.array(shift, pa.int32()), "_mask": list(mask), "_full": [a.full for a in asks], "_count": [a.count for a in asks], "_low": pa.array([min(a.own, default=KEY_SPACE) for a in asks], pa.int64()), "_high": pa.array([a.to for a in asks], pa.int64()),
         **{f"_own{i}": pa.array([a.own[i] for a in asks], pa.int64()) for i in range(len(attrs))}, **_window_columns(w, len(asks)),
     }
     drawn = f"rkey >= _low AND rkey < _high AND (_full OR {_INSIDE})"
@@ -155,7 +163,7 @@ def read_tiles(index: TileIndex, q: ViewportQuery, asks: list[Ask]) -> dict[tupl
         GROUP BY 1, 2"""
     spark = index.spark
     spark.createDataFrame(pa.table(table)).createOrReplaceTempView(f"{index.view()}_tiles")
-    rows = spark.sql(text).collect()  # four rows a tile at most
+    rows = spark.sql(text).collect()  # a row per part of a tile
     return {(r["tile_id"], r["part"]): r.asDict() for r in rows}
 
 
@@ -251,7 +259,7 @@ def first_round(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy, whol
     out: list[Stratum] = []
     for (t, kind), s in zip(leaves, strata, strict=True):
         limit = limits.get(t.tile_id, 0)
-        parts = [got.get((t.tile_id, i)) for i in range(4)]
+        parts = [got.get((t.tile_id, i)) for i in range(index.config.fan_out)]
         sample = lambda rows, a: reduce(Moments.merge, (moments_of(r, a) for r in rows if r), Moments())
         if kind == "full":
             for a in attrs:
@@ -278,6 +286,8 @@ def first_round(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy, whol
         if not pieces or any(p.moments(a).n < min(2, p.pop) for p in pieces for a in attrs):
             pieces = [Stratum(t.tile_id, "partial", inside, 3, dict.fromkeys(attrs, limit), {a: sample(parts, a) for a in attrs})]
         out += pieces
+    if policy.reuse:
+        index.inherit()
     return out, sum(r["_n"] for r in got.values()), rate
 
 
@@ -339,7 +349,7 @@ def _next(policy: SamplingPolicy, rate: float, eps: float, q: ViewportQuery, str
     """The common rate of the next round: from that of the strata which the last rate governed, not of those that earlier queries took further."""
     attrs = q.attrs()
     got = [(min(s.moments(a).n for a in attrs), s.pop) for s in strata if any(not s.exact(a) for a in attrs)]
-    behind = [(n, pop) for n, pop in got if n <= 1.25 * rate * pop] or got
+    behind = got if policy.draw == "neyman" else [(n, pop) for n, pop in got if n <= 1.25 * rate * pop] or got
     now = sum(n for n, _ in behind) / sum(pop for _, pop in behind)
     if policy.kind == "fixed_step":
         return min(1.0, now * policy.cap)
@@ -351,12 +361,13 @@ def _next(policy: SamplingPolicy, rate: float, eps: float, q: ViewportQuery, str
 def _targets(strata: list[Stratum], attrs: tuple[str, ...], rate: float, policy: SamplingPolicy) -> dict[int, int]:
     """Key limits for a common rate, raised where a stratum would get fewer than the floor; small strata are read whole."""
     floor = policy.floor if sum(s.pop * rate for s in strata) < 100 else min(policy.floor, policy.pooled_floor)
+    share = neyman_rates(strata, attrs, rate) if policy.draw == "neyman" else {}
     out = {}
     for s in strata:
         if all(s.exact(a) for a in attrs):
             continue
         short = min(s.moments(a).n for a in attrs) < min(floor, s.pop)
-        r = rate
+        r = share.get(s.tile_id, rate)
         if s.pop <= policy.exhaust_below:
             r = 1.0
         elif 2 * r * s.pop < floor and short:
@@ -368,6 +379,36 @@ def _targets(strata: list[Stratum], attrs: tuple[str, ...], rate: float, policy:
     return out
 
 
+def neyman_rates(strata: list[Stratum], attrs: tuple[str, ...], rate: float) -> dict[int, float]:
+    """The total of a common rate, dealt by population times spread, so that the sum's variance is the least for its reads.
+
+    With several measures a stratum has the largest of its shares. Strata that are to have all their
+    objects leave the rest to the others; without a variance the common rate stays.
+    """
+    open_ = [s for s in strata if any(not s.exact(a) for a in attrs)]
+    if not open_ or any(s.moments(a).n < 2 for s in open_ for a in attrs):
+        return {}
+    out: dict[int, float] = {}
+    for a in attrs:
+        left, total = list(open_), rate * sum(s.pop for s in open_)
+        while left:
+            weight = sum(s.pop * math.sqrt(s.moments(a).s2) for s in left)
+            if not weight:
+                break
+            dealt = {s.tile_id: total * math.sqrt(s.moments(a).s2) / weight for s in left}
+            whole = [s for s in left if dealt[s.tile_id] >= 1]
+            for s in whole or left:
+                out[s.tile_id] = max(out.get(s.tile_id, 0.0), min(1.0, dealt[s.tile_id]))
+            if not whole:
+                break
+            total, left = total - sum(s.pop for s in whole), [s for s in left if s not in whole]
+            if total <= 0:
+                break
+    # what is behind its share must grow, or a round would read nothing
+    behind = any(r * KEY_SPACE > min(s.theta[a] for a in attrs) for s in open_ if (r := out.get(s.tile_id)))
+    return {s.tile_id: out.get(s.tile_id, rate) for s in open_} if behind else {}
+
+
 def evaluate_progressive(index: TileIndex, q: ViewportQuery, policy: SamplingPolicy | None = None) -> Iterator[QueryResult]:
     """A result after every round, the last one final; the index keeps what it learned once the last was taken."""
     policy = policy or SamplingPolicy()

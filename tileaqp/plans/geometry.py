@@ -100,9 +100,10 @@ class Tile:
         jx, jy, side = self.corner(domain)
         return Viewport(domain.bound("x", jx), domain.bound("x", jx + side), domain.bound("y", jy), domain.bound("y", jy + side))
 
-    def quarters(self) -> list[tuple[int, int]]:
-        step = (self.zhi - self.zlo) // 4
-        return [(self.zlo + i * step, self.zlo + (i + 1) * step) for i in range(4)]
+    def parts(self, n: int = 4) -> list[tuple[int, int]]:
+        """Code ranges of equal parts, a power of four of them."""
+        step = (self.zhi - self.zlo) // n
+        return [(self.zlo + i * step, self.zlo + (i + 1) * step) for i in range(n)]
 
 
 def classify(t: Viewport, q: Viewport) -> str:

@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from .estimators import Moments, Stratum, answer, moment_columns, moments_of
 from .geometry import CELL_BITS, Domain, Tile, classify, with_codes
+from ..runtime import durable
 from .model import KEY_SPACE, AxisSpec, IndexConfig, QueryResult, Viewport, ViewportQuery
 
 #: Above so many cells a plan prunes by their range instead of their list.
@@ -75,6 +76,9 @@ class TileIndex:
         self.stats: dict[tuple[int, str], Stats] = {}
         #: Mean and variance of the tile that a part came from: a guess for planning, never part of an answer.
         self.hints: dict[tuple[int, str], tuple[float, float]] = {}
+        #: Parts that are to inherit a sample, and the key limit up to which they do.
+        self.heirs: dict[tuple[int, str], int] = {}
+        self._kept: DataFrame | None = None
         self.version = 0
         self.init_ms = 0.0
         self._view: str | None = None
@@ -137,8 +141,14 @@ class TileIndex:
         return sorted(out, key=lambda p: p[0].start)
 
     def split(self, tile: Tile, counts: list[int]) -> list[Tile]:
-        """Four equal parts with their object counts; what was known of the whole isn't known of them."""
-        parts = [self.add(tile.depth + 1, tile.root, lo, hi, n, tile.tile_id) for (lo, hi), n in zip(tile.quarters(), counts, strict=True)]
+        """As many equal parts as there are object counts; what was known of the whole isn't known of them, unless rows were kept."""
+        depth = tile.depth + (len(counts).bit_length() - 1) // 2
+        parts = [self.add(depth, tile.root, lo, hi, n, tile.tile_id) for (lo, hi), n in zip(tile.parts(len(counts)), counts, strict=True)]
+        if self.config.keep_rows:
+            limit = int(self.config.keep_rows * KEY_SPACE)
+            for a in self.attrs():
+                if theta := min(limit, max(self.stat(tile.tile_id, a).theta, self.heirs.get((tile.tile_id, a), 0))):
+                    self.heirs |= {(p.tile_id, a): theta for p in parts if p.n_objects}
         tile.is_leaf, tile.children = False, tuple(p.tile_id for p in parts)
         for a in self.attrs():
             if (guess := self.guess(tile.tile_id, a)) is not None:
@@ -148,6 +158,28 @@ class TileIndex:
                 del self.stats[key]
         return parts
 
+    @property
+    def kept(self) -> DataFrame:
+        """Rows with the smallest draw keys, written once: the part of every sample that divided tiles pass on."""
+        if self._kept is None:
+            self._kept = durable(self.objects.filter(F.col("rkey") < int(self.config.keep_rows * KEY_SPACE)), "kept")
+        return self._kept
+
+    def inherit(self) -> None:
+        """Statistics of parts from the kept rows of the tiles they came from: samples by the same keys, without reading the objects again."""
+        todo = {k: t for k, t in self.heirs.items() if k not in self.stats and self.tiles[k[0]].is_leaf}
+        self.heirs = {}
+        if not todo:
+            return
+        attrs = sorted({a for _, a in todo})
+        tiles = [self.tiles[i] for i in sorted({i for i, _ in todo})]
+        cut = {f"_cut{i}": pa.array([todo.get((t.tile_id, a), 0) for t in tiles], pa.int64()) for i, a in enumerate(attrs)}
+        columns = [c for i, a in enumerate(attrs) for c in moment_columns(a, F.col("rkey") < F.col(f"_cut{i}"))]
+        got = {r["tile_id"]: r.asDict() for r in self.with_tile(self.kept, tiles, **cut).groupBy("tile_id").agg(*columns).collect()}  # a row per part
+        for (tile, a), theta in todo.items():
+            m = moments_of(got[tile], a) if tile in got else Moments()
+            self.stats[tile, a] = Stats(KEY_SPACE if m.n == self.tiles[tile].n_objects else theta, m)
+
     def with_tile(self, rows: DataFrame, tiles: list[Tile], **columns: list) -> DataFrame:
         """``rows`` inside the tiles (disjoint ones), with ``tile_id`` and whatever ``columns`` say of each tile.
 

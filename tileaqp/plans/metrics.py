@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -55,15 +56,16 @@ def speedup(metrics: DataFrame, base: str, method: str = "ATI") -> DataFrame:
 
 
 def engine_io(spark: SparkSession, run: Callable) -> dict[str, int]:
-    """Spark's own reading while ``run`` works: bytes, records and shuffle bytes of all stages that ended meanwhile."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    stages = lambda: {(s.stageId(), s.attemptId()): s for s in _list(store.stageList(None))}
-    before = set(stages())
-    run()
-    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(10_000)
-    new = [s for k, s in stages().items() if k not in before]
+    """Spark's own reading of the jobs that ``run`` starts: bytes, records and shuffle bytes of their stages."""
+    sc = spark.sparkContext
+    group, before = f"tileaqp-{uuid.uuid4().hex}", sc.getLocalProperty("spark.jobGroup.id")
+    sc.setLocalProperty("spark.jobGroup.id", group)
+    try:
+        run()
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", before)
+    sc._jsc.sc().listenerBus().waitUntilEmpty(10_000)
+    tracker, store = sc.statusTracker(), sc._jsc.sc().statusStore()
+    stages = {i for job in tracker.getJobIdsForGroup(group) if (info := tracker.getJobInfo(job)) for i in info.stageIds}
+    new = [s for i in stages if tracker.getStageInfo(i) and (s := store.lastStageAttempt(i)).numCompleteTasks()]
     return {"stages": len(new), "input_bytes": sum(s.inputBytes() for s in new), "input_records": sum(s.inputRecords() for s in new), "shuffle_bytes": sum(s.shuffleWriteBytes() for s in new)}
-
-
-def _list(seq) -> list:
-    return [seq.apply(i) for i in range(seq.size())]

@@ -137,10 +137,19 @@ class IndexConfig:
     adapt: bool = True
     max_depth: int = LEVELS
     reuse_parent: bool = False
+    fan_out: int = 4  # parts of a divided tile: 4, 16 or 64
+    keep_rows: float = 0.0  # share of the draw keys whose rows are kept, so that parts inherit the sample of their tile
     seed: int = 7
     portable_key: bool = False
 
+    @property
+    def split_levels(self) -> int:
+        """Levels of quarters that one division goes down."""
+        return (self.fan_out.bit_length() - 1) // 2
+
     def __post_init__(self):
+        if self.fan_out not in (4, 16, 64) or not 0 <= self.keep_rows <= 1:
+            raise ValueError("a tile has 4, 16 or 64 parts, and kept rows are a share")
         if self.init not in ("flat", "query_driven") or self.split_scope not in ("partial", "all_overlapping") or self.gain not in ("count_threshold", "expected_reuse"):
             raise ValueError("unknown option")
         if not 0 <= self.max_depth <= LEVELS or min(self.grid) < 1:
@@ -155,7 +164,7 @@ class SamplingPolicy:
     cap: float = 2.0
     min_step: float = 1.1
     kind: str = "error_ratio"  # or fixed_step, fpc_aware
-    draw: str = "threshold"  # or fixed_n
+    draw: str = "threshold"  # or fixed_n, neyman
     floor: int = 10
     pooled_floor: int = 2  # floor once the strata together hold a hundred
     exhaust_below: int = 10
@@ -165,7 +174,7 @@ class SamplingPolicy:
     ahead: bool = False  # border counts and the first draw in one job, at the rate that known variances suggest
 
     def __post_init__(self):
-        if self.kind not in ("error_ratio", "fixed_step", "fpc_aware") or self.draw not in ("threshold", "fixed_n") or self.strata not in ("tiles", "single"):
+        if self.kind not in ("error_ratio", "fixed_step", "fpc_aware") or self.draw not in ("threshold", "fixed_n", "neyman") or self.strata not in ("tiles", "single"):
             raise ValueError("unknown option")
 
 

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import hashlib
 import math
-import time
 from collections.abc import Iterable
 from dataclasses import dataclass, replace
 
@@ -13,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .baselines import ApproximateTileIndex, ExactTileIndex, SampleOnlyIndex, full_scan
 from .engine import evaluate
 from .index import TileIndex, build_index
+from .metrics import engine_io, timed
 from .model import Agg, AxisSpec, IndexConfig, QueryResult, SamplingPolicy, Viewport, ViewportQuery
 
 WORKLOAD_SCHEMA = "query_id int, op string, x1 double, x2 double, y1 double, y2 double, aggs array<struct<fn: string, attr: string>>, eps_max double, gamma double"
@@ -154,18 +154,18 @@ def run_workload(setting: Setting, queries: list[ViewportQuery], methods: Iterab
         method = METHODS[name](index, policy)
         for q in queries:
             if q is queries[0]:
-                r = first
+                r, physical = first, None
             else:
-                began = time.time()
-                r = method.evaluate(q)
-                r.wall_ms = (time.time() - began) * 1000
+                got: list[tuple[QueryResult, float]] = []
+                physical = engine_io(objects.sparkSession, lambda m=method, q=q, got=got: got.append(timed(lambda: m.evaluate(q))))["input_bytes"]
+                r, r.wall_ms = got[0][0], got[0][1]
             for a in r.answers:
                 truth = exact[q.query_id][f"{a.agg}_{a.attr}" if a.attr else "count"]
                 err = None if truth is None or a.estimate is None or not truth else abs(a.estimate - truth) / abs(truth)
                 low, high = (a.ci_low, a.ci_high) if a.ci_low is not None else (-math.inf, math.inf)
                 slack = 1e-9 * abs(truth or 0.0)  # sums in another order differ in the last digits
                 out.append({
-                    "method": name, "query_id": q.query_id, "wall_ms": r.wall_ms, "io_ops": r.io_ops, "rounds": r.rounds, "bytes_read": None, "agg": a.agg, "attr": a.attr, "eps_max": q.eps_max, "estimate": a.estimate,
+                    "method": name, "query_id": q.query_id, "wall_ms": r.wall_ms, "io_ops": r.io_ops, "rounds": r.rounds, "bytes_read": physical, "agg": a.agg, "attr": a.attr, "eps_max": q.eps_max, "estimate": a.estimate,
                     "ci_low": a.ci_low, "ci_high": a.ci_high, "eps_est": a.eps_est, "exact_value": None if truth is None else float(truth), "rel_err": err, "covered": None if truth is None else low - slack <= truth <= high + slack,
                 })
     if cache:

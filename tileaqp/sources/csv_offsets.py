@@ -142,6 +142,7 @@ def register(spark) -> None:
     from ..runtime import ship
 
     ship(spark)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(CsvOffsets)
 
 

@@ -82,6 +82,8 @@ class CellSample(StatefulProcessor):
 def sampled_cells(events: DataFrame, seed: int = 7) -> DataFrame:
     """(cell, n, sampled, sum_est) per event type, updated with every batch."""
     ship(events.sparkSession)
+    # the default provider keeps one table of state; a stream reads this when it starts
+    events.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     rows = events.select(F.col("event_type").alias("cell"), "value", F.xxhash64("event_id", F.lit(seed)).bitwiseAND(F.lit(KEY_SPACE - 1)).alias("rkey"))
     return rows.groupBy("cell").transformWithStateInPandas(CellSample(), "cell string, n long, sampled long, sum_est double", "Update", "None")
 
@@ -106,6 +108,7 @@ def absorb(index: TileIndex, objects: DataFrame) -> int:
                 index.stats[r.tile_id, a] = Stats(s.theta, m)
     # leaves without objects were exact and unknown at once; they stay exact for what they get
     index.objects = index.objects.unionByName(objects)
+    index._kept = None
     index.version += 1
     return sum(r._n for r in got)
 
