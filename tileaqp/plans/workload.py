@@ -137,7 +137,11 @@ class Setting:
 
 
 def run_workload(setting: Setting, queries: list[ViewportQuery], methods: Iterable[str] = ("ATI", "ETI", "STI"), policy: SamplingPolicy | None = None, cache: bool = True) -> list[dict]:
-    """METRICS rows: every method answers the same queries on an index of its own, built with the first one."""
+    """METRICS rows: every method answers the same queries on an index of its own, built with the first one.
+
+    Methods take turns query by query, and another one begins each time, so that none bears the
+    warming up of the others.
+    """
     from .index import bind_objects, domain_of
 
     policy = policy or SamplingPolicy()
@@ -149,15 +153,16 @@ def run_workload(setting: Setting, queries: list[ViewportQuery], methods: Iterab
     aggs = list(queries[0].aggs)
     exact = {r.query_id: r.asDict() for r in full_scan(objects, workload_frame(objects.sparkSession, queries), aggs).collect()}  # a row per query
     out = []
-    for name in methods:
-        index, first = build_from(objects, domain, config, setting.attrs, queries[0])
-        method = METHODS[name](index, policy)
-        for q in queries:
+    built = {name: build_from(objects, domain, config, setting.attrs, queries[0]) for name in methods}
+    running = {name: METHODS[name](index, policy) for name, (index, _) in built.items()}
+    names = list(running)
+    for i, q in enumerate(queries):
+        for name in names[i % len(names):] + names[: i % len(names)]:
             if q is queries[0]:
-                r, physical = first, None
+                r, physical = built[name][1], None
             else:
                 got: list[tuple[QueryResult, float]] = []
-                physical = engine_io(objects.sparkSession, lambda m=method, q=q, got=got: got.append(timed(lambda: m.evaluate(q))))["input_bytes"]
+                physical = engine_io(objects.sparkSession, lambda m=running[name], q=q, got=got: got.append(timed(lambda: m.evaluate(q))))["input_bytes"]
                 r, r.wall_ms = got[0][0], got[0][1]
             for a in r.answers:
                 truth = exact[q.query_id][f"{a.agg}_{a.attr}" if a.attr else "count"]
