@@ -13,6 +13,7 @@ LARGER = "/root/testdata/sf0.01"
     "name",
     [
         "m03_pan",
+        "m04_zoom",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
