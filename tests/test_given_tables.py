@@ -15,6 +15,7 @@ LARGER = "/root/testdata/sf0.01"
         "m03_pan",
         "m04_zoom",
         "m36_next_rate",
+        "r08_interval_join",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
