@@ -16,6 +16,7 @@ LARGER = "/root/testdata/sf0.01"
         "m04_zoom",
         "m36_next_rate",
         "r08_interval_join",
+        "r17_analytic_windows",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
