@@ -17,6 +17,7 @@ LARGER = "/root/testdata/sf0.01"
         "m36_next_rate",
         "r08_interval_join",
         "r17_analytic_windows",
+        "r23_recursive_quadtree",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
