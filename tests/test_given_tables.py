@@ -18,6 +18,7 @@ LARGER = "/root/testdata/sf0.01"
         "r08_interval_join",
         "r17_analytic_windows",
         "r23_recursive_quadtree",
+        "s10_generated_uniform",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):

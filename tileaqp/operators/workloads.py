@@ -12,7 +12,7 @@ from ..plans.engine import evaluate
 from ..plans.model import RESULT_SCHEMA, Agg, AxisSpec, SamplingPolicy, Viewport, ViewportQuery
 from ..plans.workload import ExplorationSession, Setting, as_queries, centre_window, make_path, make_zooms, metrics_frame, run_workload, switch_attribute, workload_frame
 from ..plans.index import domain_of
-from ..sources.tables import gen_uniform, load_table, wide_rows
+from ..sources.tables import load_table, wide_rows, with_uniform
 from ..streaming import events as streams
 from .methods import BOX, IDENTITY, OBJECTS_SQL, WINDOW, index, objects
 from .registry import query
@@ -155,7 +155,9 @@ def workload_rows(spark, sf):
 
 @query("s10_generated_uniform")
 def s10(spark, sf):
-    return gen_uniform(spark, 10_000, 3).agg(F.count("*").alias("n"), *(F.round(F.avg(f"a{i}"), 3).alias(f"mean{i}") for i in range(3)), F.max("a0").alias("top"))
+    """Three uniform attributes made up for every line item."""
+    rows = with_uniform(load_table(spark, sf, "lineitem").select(*IDENTITY), IDENTITY, 3)
+    return rows.agg(F.count("*").alias("n"), *(F.round(F.avg(f"a{i}"), 3).alias(f"mean{i}") for i in range(3)), F.max("a0").alias("top"))
 
 
 @query("u01_sql_functions", f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n FROM o GROUP BY root")
