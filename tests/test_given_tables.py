@@ -19,6 +19,7 @@ LARGER = "/root/testdata/sf0.01"
         "r17_analytic_windows",
         "r23_recursive_quadtree",
         "s10_generated_uniform",
+        "s10_generated_uniform_checked",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
