@@ -20,6 +20,7 @@ LARGER = "/root/testdata/sf0.01"
         "r23_recursive_quadtree",
         "s10_generated_uniform",
         "s10_generated_uniform_checked",
+        "u02_quantile_functions",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):

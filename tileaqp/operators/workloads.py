@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..functions import sqlapi
 from ..plans import metrics
@@ -171,8 +171,12 @@ def u01(spark, sf):
 
 @query("u02_quantile_functions")
 def u02(spark, sf):
+    """Quantiles at the middle rank of every quantity, as a share of all line items."""
     sqlapi.register_functions(spark)
-    return spark.sql("SELECT p, norm_quantile(p) AS z, chi2_quantile(p, 10.0D) AS chi2 FROM VALUES (0.025D), (0.5D), (0.975D) AS t(p)")
+    counts = load_table(spark, sf, "lineitem").groupBy("l_quantity").agg(F.count("*").alias("n"))  # fifty quantities, whatever the scale
+    below, every = Window.orderBy("l_quantity").rowsBetween(Window.unboundedPreceding, 0), Window.partitionBy()
+    shares = counts.select("l_quantity", ((F.sum("n").over(below) - F.col("n") / 2) / F.sum("n").over(every)).alias("p"))
+    return shares.select("l_quantity", "p", F.expr("norm_quantile(p)").alias("z"), F.expr("chi2_quantile(p, 10.0D)").alias("chi2"))
 
 
 @query("u03_grouped_moments", f"WITH {OBJECTS_SQL} SELECT root, count(*) AS n, round(avg(l_quantity), 6) AS mean, round(var_pop(l_quantity) * count(*) + 0.00012345, 3) AS m2 FROM o GROUP BY root")
