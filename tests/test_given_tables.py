@@ -21,6 +21,7 @@ LARGER = "/root/testdata/sf0.01"
         "s10_generated_uniform",
         "s10_generated_uniform_checked",
         "u02_quantile_functions",
+        "u02_quantiles_checked",
     ],
 )
 def test_rows_come_from_the_tables(spark, sf, name):
