@@ -433,6 +433,38 @@ def test_near_duplicates_with_repeated_lines(spark):
     assert sum(both >= 0.8 * either for *_, both, either in near_against_all_pairs(spark, texts)) == 40
 
 
+@pytest.mark.parametrize("finish", [1 << 18, 6, 0])
+def test_components_in_one_task_and_in_rounds(spark, monkeypatch, finish):
+    monkeypatch.setattr(simhash_dedup, "FINISH", finish)
+    rng = random.Random(17)
+    way = rng.sample(range(1000, 2000), 40)
+    edges = [*zip(way, way[1:], strict=False), *((-7, x) for x in range(20)), (-50, 60), (60, -50), (3000, 3000)]
+    got = {r.node: r.root for r in simhash_dedup.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == reach(sorted({x for e in edges for x in e}), edges)
+    named = spark.createDataFrame([(bytes([a % 251, 200]), bytes([b % 251])) for a, b in edges], "a binary, b binary")
+    got = {bytes(r.node): bytes(r.root) for r in simhash_dedup.components(named).collect()}
+    linked = [(bytes(a), bytes(b)) for a, b in named.collect()]
+    assert got == reach(sorted({x for e in linked for x in e}), linked)
+
+
+def test_keys_of_fingerprints_are_not_broadcast(spark, tmp_path):
+    spark.range(2000).selectExpr("xxhash64(id) AS fp").write.parquet(str(tmp_path / "prints"))
+    found = simhash_dedup.links(spark.read.parquet(str(tmp_path / "prints")))
+    assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
+    assert found.count() == 0
+
+
+def test_components_of_few_links_take_few_jobs(spark):
+    """Every job's plan and tasks stay in the driver's memory."""
+    edges = spark.createDataFrame([(i, i + 1) for i in range(200)], "a long, b long")
+    spark.sparkContext.setJobGroup("components", "")
+    try:
+        assert {r.root for r in simhash_dedup.components(edges).collect()} == {0}
+        assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("components")) <= 6
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+
+
 def test_rows_that_repeat_an_id_or_have_none(spark):
     import corpus_pipeline
 

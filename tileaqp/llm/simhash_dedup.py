@@ -11,8 +11,9 @@ chains are checked before the full distance.
 Only distinct fingerprints are compared, so that copies cost nothing. A key shared by
 many is cut into blocks, and each pair of blocks gives back only a spanning forest of
 its links; no pairs of a whole group are ever listed, and no link between components
-is lost. Components come from repeated hooking to the smallest neighbour and pointer
-jumping, with durable tables between the rounds.
+is lost. Components of up to ``FINISH`` links come from one task; more links are first
+made fewer by rounds of hooking to the smallest neighbour and pointer jumping, with
+durable tables between the rounds, as each round costs the driver several jobs.
 
 Null texts and texts without words have the fingerprint zero and are linked like any
 other. Texts count whole. Repeated rows stay rows; their component is the same. A null
@@ -39,6 +40,8 @@ SEGMENTS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))
 RADIUS = 4
 #: Fingerprints of a key that are compared in one piece.
 BLOCK = 4096
+#: Links, whatever the table's size, whose components one task finds (about 40 MB).
+FINISH = 1 << 18
 
 
 def shingle_hashes(text: str | None, size: int) -> np.ndarray:
@@ -139,7 +142,8 @@ def forest(fps: np.ndarray, radius: int, first: int | None) -> list[tuple[int, i
 def dealt(filed: DataFrame, members: list[str]) -> DataFrame:
     """(key, m): the members of every key with more than one; of a key with more than ``BLOCK``, of every pair of its blocks."""
     sizes = filed.groupBy("key").agg(F.count("*").alias("_count")).filter("_count > 1")
-    met = filed.join(sizes, "key").withColumn("blocks", F.ceil(F.col("_count") / BLOCK).cast("int"))
+    # a plan takes exploded keys for as small as what they come from, and would broadcast all of them through the driver
+    met = filed.join(sizes.hint("merge"), "key").withColumn("blocks", F.ceil(F.col("_count") / BLOCK).cast("int"))
     member = F.struct(*members)
     small = met.filter("blocks = 1").groupBy("key").agg(F.collect_list(member).alias("m"))
     # each member of a large key goes to every pair of blocks that has its own
@@ -189,26 +193,49 @@ def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     return bucket_links(distinct.select("fp", F.col("fp").alias("name"), F.explode(_keys()).alias("key")), radius, chained=True)
 
 
+def _roots(a: pa.Array, b: pa.Array) -> tuple[pa.Array, pa.Array]:
+    """All nodes of the links, and for each the smallest node reachable."""
+    nodes = pc.unique(pa.chunked_array([a, b], a.type))
+    nodes = nodes.take(pc.array_sort_indices(nodes))
+    ia, ib = (pc.index_in(x, nodes).to_numpy(zero_copy_only=False) for x in (a, b))
+    root = np.arange(len(nodes))
+    while True:
+        x, y = root[ia], root[ib]
+        apart = x != y
+        if not apart.any():
+            return nodes, nodes.take(pa.array(root))
+        ia, ib, x, y = ia[apart], ib[apart], x[apart], y[apart]
+        np.minimum.at(root, np.maximum(x, y), np.minimum(x, y))
+        while not np.array_equal(root, further := root[root]):
+            root = further
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): for every node with an edge the smallest node reachable, by hooking and pointer jumping."""
     edges = durable(edges.select("a", "b"), "edges")
+    kind = edges.schema["a"].dataType.simpleString()
+
+    def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if all_ := list(batches):
+            t = pa.Table.from_batches(all_).combine_chunks()
+            a, b = (pa.concat_arrays(t.column(i).chunks) for i in (0, 1))
+            yield pa.RecordBatch.from_arrays(list(_roots(a, b)), names=["node", "root"])
+
+    ship(edges.sparkSession)
+    if edges.count() <= FINISH:
+        return durable(edges.coalesce(1).mapInArrow(joined, f"node {kind}, root {kind}"), "label")
     both = edges.union(edges.select(F.col("b"), F.col("a"))).toDF("node", "near")
     label = durable(both.groupBy("node").agg(F.min("near").alias("m")).select("node", F.least("node", "m").alias("root")), "label")
-    while True:
-        # the smallest label around each label's members hooks the label; then labels jump to the labels of their roots
-        near = edges.join(label.toDF("a", "ra"), "a").join(label.toDF("b", "rb"), "b").filter("ra <> rb")
-        hook = near.select(F.greatest("ra", "rb").alias("root"), F.least("ra", "rb").alias("to")).groupBy("root").agg(F.min("to").alias("to"))
-        hook = durable(hook, "hook")
-        if hook.isEmpty():
-            return label
-        while True:
-            jump = hook.toDF("to", "further")
-            hook = durable(hook.join(jump, "to", "left").select("root", F.coalesce("further", "to").alias("to"), F.col("further").isNotNull().alias("moved")), "hook")
-            moved = not hook.filter("moved").isEmpty()
-            hook = hook.select("root", "to")
-            if not moved:
-                break
-        label = durable(label.join(hook, "root", "left").select("node", F.coalesce("to", "root").alias("root")), "label")
+    while True:  # to the label's label
+        jump = label.toDF("root", "further")
+        label = durable(label.join(jump, "root").select("node", F.col("further").alias("root"), (F.col("further") < F.col("root")).alias("moved")), "label")
+        moved = not label.filter("moved").isEmpty()
+        label = label.select("node", "root")
+        if not moved:
+            break
+    left = edges.join(label.toDF("a", "ra"), "a").join(label.toDF("b", "rb"), "b").filter("ra <> rb")
+    rest = components(left.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct())
+    return durable(label.join(rest.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root")), "label")
 
 
 def components_of(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 4, radius: int = RADIUS) -> DataFrame:
