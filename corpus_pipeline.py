@@ -5,8 +5,9 @@ DataFrame; all but the last return the columns of ``documents``. Their results a
 written as Parquet and read again in between.
 
 1. quality: documents with a score below 0.3 go.
-2. near duplicates: of each group linked by a five-word shingle similarity of 0.8 or
-   more, the row with the smallest id stays (one without an id only if none has one).
+2. near duplicates: of each group linked by SimHash fingerprints at most four bits apart, or by a
+   five-word shingle similarity of 0.8 or more, the row with the smallest id stays (one without an id
+   only if none has one). Pigeonring finds the links of fingerprints; the shingles find the rest.
 3. decontamination: documents with a benchmark window of ten words go.
 4. personal data: entities become surrogates; n_chars is counted anew.
 5. packing: a row per piece with its sequence.
@@ -32,7 +33,7 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     """One row stays of each group. A row is named by id and text, so rows may repeat an id or have none."""
     text = F.coalesce(F.sha2(F.col("text").cast("string"), 256), F.lit(""))
     named = docs.select(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", text.alias("digest")).alias("row"), "text")
-    found = simhash_dedup.near_duplicates(named, key="row")
+    found = simhash_dedup.near_duplicates(named, key="row", radius=simhash_dedup.RADIUS)
     kept = found.filter(F.col("row").eqNullSafe(F.col("component"))).select(F.col("row.doc_id").alias("_id"), F.col("row.digest").alias("_digest"))
     kept = durable(kept.groupBy("_id", "_digest").agg(F.count("*").alias("_times")), "kept")
     out = docs.withColumn("_own", text).join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_own") == F.col("_digest")))

@@ -433,6 +433,21 @@ def test_near_duplicates_with_repeated_lines(spark):
     assert sum(both >= 0.8 * either for *_, both, either in near_against_all_pairs(spark, texts)) == 40
 
 
+def test_pipeline_links_by_fingerprints_and_by_shingles(spark):
+    """Pairs that only one of the two links, and a chain of both."""
+    import corpus_pipeline
+
+    rng = random.Random(16)
+    line, base = fresh(rng, 13), fresh(rng, 400)
+    a, b = (" ".join(line * 200 + fresh(rng, 100)) for _ in range(2))  # the line's votes outweigh the rest
+    long, cut = " ".join(base), " ".join(base[:330])
+    far = lambda x, y: (fingerprint(x, 4) ^ fingerprint(y, 4)).bit_count()
+    assert far(a, b) <= 4 < far(long, cut)
+    c = " ".join(a.split()[: -20])
+    frame = spark.createDataFrame(list(enumerate([b, a, c, long, cut, " ".join(fresh(rng, 50))])), "doc_id long, text string")
+    assert sorted(r.doc_id for r in corpus_pipeline.drop_near_duplicates(spark, frame, "").collect()) == [0, 3, 5]
+
+
 @pytest.mark.parametrize("finish", [1 << 18, 6, 0])
 def test_components_in_one_task_and_in_rounds(spark, monkeypatch, finish):
     monkeypatch.setattr(simhash_dedup, "FINISH", finish)

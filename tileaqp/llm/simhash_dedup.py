@@ -275,16 +275,28 @@ def prefix_length(n: int, similarity: float) -> int:
     return min(n, n - math.ceil(similarity * n - 1e-6) + 1)
 
 
-def names(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, name): a digest of the words of every row."""
+def names(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 4) -> DataFrame:
+    """(key, name, fp): a digest of the words of every row, and their fingerprint."""
     ship(docs.sparkSession)
 
     def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([_name(t) for t in b.column(1).to_pylist()], pa.binary())], names=[key, "name"])
+            texts = b.column(1).to_pylist()
+            prints = pa.array([vote(shingle_hashes(t, size)) for t in texts], pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([_name(t) for t in texts], pa.binary()), prints], names=[key, "name", "fp"])
 
     rows = docs.select(F.col(key), F.col(text).cast("string").alias("_text"))
-    return rows.mapInArrow(named, f"`{key}` {docs.schema[key].dataType.simpleString()}, name binary")
+    return rows.mapInArrow(named, f"`{key}` {docs.schema[key].dataType.simpleString()}, name binary, fp long")
+
+
+def print_links(table: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """(a, b): for rows (name, fp), links between names whose fingerprints are at most ``radius`` apart, enough to connect every component."""
+    each = table.select("name", "fp").distinct()
+    distinct = durable(each.groupBy("fp").agg(F.min("name").alias("least")), "distinct")
+    same = each.join(distinct, "fp").filter("name <> least").select(F.col("least").alias("a"), F.col("name").alias("b"))
+    found = links(distinct.select("fp"), radius).toDF("x", "y")
+    near = found.join(distinct.toDF("x", "a"), "x").join(distinct.toDF("y", "b"), "y").select("a", "b")
+    return durable(same.unionByName(near), "print_links")
 
 
 def common_shingles(docs: DataFrame, text: str = "text", size: int = 5):
@@ -419,9 +431,14 @@ def _similar(docs: DataFrame, pairs: DataFrame, least: float, text: str = "text"
     return durable(met.mapInArrow(checked, "a binary, b binary"), "similar")
 
 
-def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, similarity: float = SIMILARITY) -> DataFrame:
-    """(key, component): rows whose texts are linked by a shingle similarity of at least ``similarity``; component is the smallest key."""
-    table = durable(names(docs, key, text), "names")
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = 5, similarity: float = SIMILARITY, radius: int | None = None) -> DataFrame:
+    """(key, component): rows whose texts are linked by a shingle similarity of at least ``similarity``; component is the smallest key.
+
+    With a ``radius``, texts whose fingerprints (of four-word shingles) are at most so many bits apart are linked first, by pigeonring;
+    the shingles then find what no chain of fingerprints links.
+    """
+    table = durable(names(docs, key, text), "names") if radius is not None else durable(names(docs, key, text).select(key, "name"), "names")
+    known = print_links(table, radius) if radius is not None else None
     once = table.groupBy("name").agg(F.min(key).alias("least"))
     filed = prefixes(docs, common_shingles(docs, text, size), similarity, text, size)
     of = Window.partitionBy("key")
@@ -433,6 +450,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", si
     star = shared.join(centre, "key").select(F.col("name").alias("a"), F.col("c.name").alias("b"), F.col("s").alias("sa"), F.col("c.s").alias("sb")).filter("a <> b")
     tried = durable(_possible(_ordered(star), similarity), "tried")
     edges = _similar(docs, tried, similarity, text, size)
+    edges = edges if known is None else edges.unionByName(known)
     roots = components(edges)
     rest = durable(_possible(_across(shared, roots, similarity), similarity).join(tried, ["a", "b"], "left_anti"), "rest")
     if not rest.isEmpty():
